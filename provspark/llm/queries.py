@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import packing, token_files
+from . import mixing, packing, quality, token_files
 from .common import crc_mod, documents, table
 from .subwords import default_path
 
@@ -16,13 +16,23 @@ def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(documents(spark, sf_dir), default_path())
 
 
+def op4_entropy_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    taken = mixing.copies(documents(spark, sf_dir))
+    return taken.select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"))
+
+
 def op6_token_id_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.token_files(documents(spark, sf_dir), default_path())
 
 
+def op9_quality_cascade(spark: SparkSession, sf_dir: str) -> DataFrame:
+    judged = quality.judged(documents(spark, sf_dir).select("doc_id", "text"))
+    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {k: v for k, v in globals().items() if k.startswith("op") and callable(v) and k[2].isdigit()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op9_quality_cascade": quality.ORACLE_SQL}
