@@ -84,7 +84,6 @@ class Words:
     """
 
     def __init__(self, texts: pa.Array, lower: bool = True):
-        texts = texts.cast(pa.large_string()) if not pa.types.is_large_string(texts.type) else texts
         if lower:
             texts = pc.ascii_lower(texts)
         split = pc.ascii_split_whitespace(texts)

@@ -17,7 +17,7 @@ import pyarrow.compute as pc
 from .common import Words
 
 #: Words kept by a worker before it starts afresh.
-CACHE_WORDS = 300_000
+CACHE_WORDS = 700_000
 
 _PLAIN = re.compile(r"([a-zß-öø-ÿ]+)([.,]*)").fullmatch
 
@@ -47,16 +47,15 @@ class WordEncoder:
         self.kind = np.dtype("<u4" if self.wide else "<u2")
         self.alphabet = _byte_characters()
         self.words: dict[str, bytes] = {}
-        self.letters: dict[str, bytes] = {}
 
     def _pack(self, ids: list[int]) -> bytes:
         return np.array(ids, self.kind).tobytes()
 
     def _run(self, letters: str) -> bytes:
-        found = self.letters.get(letters)
+        found = self.words.get(letters)
         if found is None:
             coded = letters if letters.isascii() else letters.encode().decode("latin1").translate(self.alphabet)
-            found = self.letters[letters] = self._pack([x.id for x in self.library.model.tokenize(coded)])
+            found = self.words[letters] = self._pack([x.id for x in self.library.model.tokenize(coded)])
         return found
 
     def _encode(self, word: str) -> bytes:
@@ -69,8 +68,6 @@ class WordEncoder:
         """All ids of the slice, and the number of ids of each text."""
         if len(self.words) > CACHE_WORDS:
             self.words.clear()
-        if len(self.letters) > CACHE_WORDS:
-            self.letters.clear()
         known, coded = self.words, []
         for word in words.values.to_pylist():
             ids = known.get(word)
