@@ -133,6 +133,12 @@ def judged(docs: DataFrame, sample_rows: int = SAMPLE_ROWS) -> DataFrame:
     return measured.withColumn("kept", cascade(order)).drop("_words")
 
 
+def kept(docs: DataFrame) -> DataFrame:
+    """The rows of docs that pass, with the columns of docs, whatever their names."""
+    held = docs.select(F.struct("*").alias("_document"), "text")
+    return judged(held).where("kept").select("_document.*")
+
+
 ORACLE_SQL = r"""
 WITH d AS (
   SELECT doc_id, coalesce(text, '') AS text, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w,
