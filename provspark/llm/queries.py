@@ -7,11 +7,15 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, jaccard_join, langid, mixing, packing, pii, quality, token_files
+from . import fingerprints, jaccard_join, langid, lm_scoring, mixing, packing, pii, quality, token_files
 from .common import crc_mod, documents, table
 from .subwords import default_path
 
 
+def op1_attention_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_scoring.scores(documents(spark, sf_dir), default_path())
+
+
 def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(documents(spark, sf_dir), default_path())
 

@@ -66,6 +66,11 @@ class WordEncoder:
 
     def ids(self, words: Words) -> tuple[np.ndarray, np.ndarray]:
         """All ids of the slice, and the number of ids of each text."""
+        out, each = self.ids_by_word(words)
+        return out, np.diff(np.concatenate([[0], np.cumsum(each)])[words.starts])
+
+    def ids_by_word(self, words: Words) -> tuple[np.ndarray, np.ndarray]:
+        """All ids of the slice, and the number of ids of each word."""
         if len(self.words) > CACHE_WORDS:
             self.words.clear()
         known, coded = self.words, []
@@ -81,9 +86,7 @@ class WordEncoder:
         ends = np.cumsum(each)
         total = int(ends[-1]) if len(ends) else 0
         shift = begins[words.codes] - (ends - each)
-        out = flat[np.repeat(shift, each) + np.arange(total)]
-        edges = np.concatenate([[0], ends])
-        return out, np.diff(edges[words.starts])
+        return flat[np.repeat(shift, each) + np.arange(total)], each
 
 
 @lru_cache(maxsize=2)
