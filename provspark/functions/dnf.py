@@ -77,3 +77,11 @@ def cosine(a: Column, b: Column) -> Column:
 def softmax(a: Column) -> Column:
     e = F.transform(a, lambda x: F.exp(x - F.array_max(a)))
     return F.transform(e, lambda x: x / F.aggregate(e, F.lit(0.0), lambda s, y: s + y))
+
+
+def dnf_prob_columns(formulas, facts):
+    """``prob`` of formulas whose explanations share no fact, in built-in functions: joins and products."""
+    keys = [c for c in formulas.columns if c != "dnf"]
+    each = formulas.select(*keys, F.posexplode("dnf").alias("e", "fids")).select(*keys, "e", F.explode("fids").alias("fid"))
+    weighed = each.join(facts, "fid").groupBy(*keys, "e").agg(F.product("pi").alias("p"))
+    return weighed.groupBy(*keys).agg(noisy_or(F.col("p")).alias("prob"))
