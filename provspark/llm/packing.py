@@ -98,18 +98,25 @@ def best_fit(left: list[int], capacity: int) -> list[list[int]]:
 
 
 def plan(need: np.ndarray, capacity: int) -> list[tuple[list[int], int]]:
-    """Whole configurations (lengths, longest first) and how often each is used; covers need exactly."""
+    """Whole configurations (lengths, longest first) and how often each is used; covers need exactly.
+
+    The rounded program, or the greedy plan alone where that takes fewer sequences.
+    """
+    plans = [_rounded(need, capacity, start) for start in (configurations(need, capacity), [])]
+    return min(plans, key=lambda chosen: sum(times for _, times in chosen))
+
+
+def _rounded(need: np.ndarray, capacity: int, start: list[tuple[Counter, float]]) -> list[tuple[list[int], int]]:
     left, chosen = need.astype(np.int64).copy(), []
-    for config, times in configurations(need, capacity):
+    for config, times in start:
         whole = min(int(times), *(int(left[x]) // k for x, k in config.items()))
         if whole > 0:
             chosen.append((sorted(config.elements(), reverse=True), whole))
             for x, k in config.items():
                 left[x] -= k * whole
-    # lengths that are still in great number go through the program again, the rest by best fit
+    # lengths still in great number: the longest that fit, as often as they last; the rest by best fit
     while left.sum() > 20_000:
-        config, room = [], capacity
-        spare = left.copy()
+        config, room, spare = [], capacity, left.copy()
         while room > 0 and (fit := np.flatnonzero(spare[: room + 1])).size:
             config.append(int(fit[-1]))
             spare[fit[-1]] -= 1
