@@ -346,7 +346,8 @@ def _nation(spark, sf_dir, key: int = 3) -> str:
 
 
 def _ask(spark, sf_dir, text: str, goal: str, columns: str, collapse: float | None = 10) -> DataFrame:
-    got = answer(onto.program(spark, sf_dir, text), Query.parse(goal), collapse=collapse).table
+    asked = Query.parse(goal)
+    got = answer(onto.program(spark, sf_dir, text, tuple(a.pred for a in asked.body)), asked, collapse=collapse).table
     return got.select(*(F.col(f"a{i}").alias(c) for i, c in enumerate(columns.split())), F.round("prob", 6).alias("prob"))
 
 

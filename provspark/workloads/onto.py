@@ -67,10 +67,11 @@ def ontology_rules(spark: SparkSession, sf_dir: str) -> list[Rule]:
     return out + rules("\n".join(f"touches(N,'{b}') :- in(S,N), delivers(S,P), brand_of(P,'{b}')." for b in brands[: max(0, room)]), "t")
 
 
-def program(spark: SparkSession, sf_dir: str, text: str | None = None) -> Program:
+def program(spark: SparkSession, sf_dir: str, text: str | None = None, also: tuple[str, ...] = ()) -> Program:
+    """The ontology, or other rules over its facts; ``also`` names base predicates that only a query uses."""
     given = remembered(("onto", sf_dir), lambda: base_facts(spark, sf_dir))
     own = rules(text) if text else ontology_rules(spark, sf_dir)
-    used = {a.pred for r in own for a in r.body}
+    used = {a.pred for r in own for a in r.body} | set(also)
     return Program(own, {k: v for k, v in given.items() if k in used})
 
 
