@@ -183,7 +183,8 @@ def test_fingerprints_of_edits_and_neighbours(docs, nothing):
         new = text[: len(text) - len(text) // 3] + follow[: len(text) // 3]
         r = got[doc_id]
         assert r["n_chars"] == len(text) and r["edited_sha256"] == hashlib.sha256(new.encode()).hexdigest()
-        assert 0 <= r["near_next"] <= 1 and (r["near_edited"] >= r["near_next"] or len(text) < 3 or text == follow)
+        assert 0 <= r["near_next"] <= 1
+        assert doc_id <= 30 or r["near_edited"] > 0.4 > r["near_next"]  # the others are small, equal or near each other
     prints = {}
     for doc_id, text, *_ in DOCS:
         prints.setdefault(text or "", set()).add(got[doc_id]["fingerprint"])
