@@ -56,7 +56,7 @@ def grouping_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def pivot_matrix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return load(spark, sf_dir, "lineitem").groupBy("l_returnflag").pivot("l_linestatus", ["F", "O"]).agg(F.count("*"))
+    return load(spark, sf_dir, "lineitem").groupBy("l_returnflag").pivot("l_linestatus", ["F", "O"]).agg(F.count("l_orderkey"))
 
 
 def topk_window(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -436,10 +436,10 @@ def same_as_prob(spark, sf_dir):
 @query(f"""WITH RECURSIVE t AS (SELECT DISTINCT conv_id, turn FROM conversations), r AS (SELECT conv_id, turn, lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS nxt FROM t),
 e AS (SELECT conv_id, turn, nxt, {w.sql_pi('(conv_id * 13 + turn)', 8)} AS pi FROM r WHERE nxt IS NOT NULL),
 c(conv_id, a, b, pi) AS (SELECT conv_id, turn, nxt, pi FROM e UNION ALL SELECT c.conv_id, c.a, e.nxt, c.pi * e.pi FROM c JOIN e ON e.conv_id = c.conv_id AND e.turn = c.b)
-SELECT conv_id, a, b, round(pi, 6) AS prob FROM c""")
+SELECT conv_id, a, b, round(pi, 12) AS prob FROM c""")
 def reply_chain(spark, sf_dir):
     result = reason(graphs.replies(spark, sf_dir))
-    return probabilities(lineage(result, "after"), base_probabilities(result.program)).select(F.col("a0").alias("conv_id"), F.col("a1").alias("a"), F.col("a2").alias("b"), F.round("prob", 6).alias("prob"))
+    return probabilities(lineage(result, "after"), base_probabilities(result.program)).select(F.col("a0").alias("conv_id"), F.col("a1").alias("a"), F.col("a2").alias("b"), F.round("prob", 12).alias("prob"))
 
 
 @query("""WITH l AS (SELECT DISTINCT page_id, path FROM (SELECT page_id, regexp_replace(unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)), '^https?://[^/]*', '') AS path FROM pages) WHERE path <> ''),
