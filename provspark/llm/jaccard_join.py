@@ -11,13 +11,12 @@ for the pigeonhole argument; where even the non-empty segments don't suffice, th
 (in hash order) as signatures, which meets every partner that is in the same case.
 
 Sets that are equal are one class from the start.  Classes are met in buckets of packed arrays: each class is compared
-with the least of its group, verified word by word, and the links contracted to components.  Only groups that still hold
+with the least of its group, verified on the whole sets, and the links contracted to components.  Only groups that still hold
 several components are then compared pair by pair, across components, behind an exact bound on the difference.
 """
 
 from __future__ import annotations
 
-from collections import OrderedDict
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -36,7 +35,9 @@ WORDS, SHARE, OF = 5, 80, 100
 #: Signatures that a bucket should hold, that a task packs at a time, and classes a task remembers to have packed.
 PER_BUCKET, PACKED, REMEMBERED = 1 << 20, 1 << 20, 1 << 20
 #: Coarse counts of a set, for the bound on the difference.
-CELLS = 32
+CELLS = 512
+#: Nearest members of other components that a member is compared with before all that the bound allows.
+NEAREST = 3
 #: Bits of the filter on candidate documents: a size that does not grow.
 FILTER_BITS = 1 << 26
 
@@ -277,32 +278,28 @@ def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield from joined()
 
 
-def links(a: set, b: set) -> bool:
-    shared = len(a & b)
-    return OF * shared >= SHARE * (len(a) + len(b) - shared)
+def shared(a: np.ndarray, b: np.ndarray) -> int:
+    """Common elements of two ascending arrays without repeats."""
+    if len(a) > len(b):
+        a, b = b, a
+    at = np.searchsorted(b, a)
+    return int((b[np.minimum(at, len(b) - 1)] == a).sum()) if len(b) else 0
 
 
-def gram_set(text: str, n: int = WORDS) -> set[tuple[str, ...]]:
-    """The set itself, of word tuples: ASCII lower case, ASCII white space."""
-    words = pc.ascii_split_whitespace(pc.ascii_lower(pa.array([text])))[0].as_py()
-    words = [w for w in words if w]
-    if len(words) < n:
-        return {tuple(words)} if words else set()
-    return set(zip(*(words[k:] for k in range(n)), strict=False))
+def links(a: np.ndarray, b: np.ndarray) -> bool:
+    both = shared(a, b)
+    return OF * both >= SHARE * (len(a) + len(b) - both)
 
 
 def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    recent: OrderedDict[int, set] = OrderedDict()
-    for batch in batches:
-        a, b = batch.column("a").to_pylist(), batch.column("b").to_pylist()
-        good = []
-        for i in range(batch.num_rows):
-            if b[i] not in recent:
-                recent[b[i]] = gram_set(batch.column("b_text")[i].as_py())
-                if len(recent) > 8:
-                    recent.popitem(last=False)
-            good.append(links(gram_set(batch.column("a_text")[i].as_py()), recent[b[i]]))
-        yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(good)], ["a", "b", "good"])
+    """The sets of both sides again, whole, as 64-bit hashes of their elements; a right side that repeats is cut up once."""
+    for batch in slices(batches, "a_text", 4 << 20):
+        a, b = batch.column("a"), batch.column("b").to_numpy(zero_copy_only=False)
+        _, first, at = np.unique(b, return_index=True, return_inverse=True)
+        left, right = Sets(batch.column("a_text")), Sets(batch.column("b_text").take(pa.array(first)))
+        side = lambda x, i: x.items[x.starts[i] : x.starts[i + 1]]
+        good = [links(side(left, i), side(right, j)) for i, j in enumerate(at.tolist())]
+        yield pa.RecordBatch.from_arrays([a, batch.column("b"), pa.array(good)], ["a", "b", "good"])
 
 
 def _place(column: str):
@@ -330,7 +327,7 @@ def _chosen(shared):
 
 
 def verified(docs: DataFrame, pairs: DataFrame) -> DataFrame:
-    """pairs (a, b) of doc_ids with ``good``: whether their sets link, by exact comparison of their words.
+    """pairs (a, b) of doc_ids with ``good``: whether their sets link, by comparison of the whole sets.
 
     A filter of fixed size keeps most other texts out of the shuffle; the semi-join behind it is exact.
     """
@@ -345,18 +342,30 @@ def verified(docs: DataFrame, pairs: DataFrame) -> DataFrame:
 _PAIRS = "a long, b long"
 
 
-def _across(frame: pd.DataFrame) -> pd.DataFrame:
-    """Pairs of a group across components whose sizes and coarse counts allow a link."""
-    frame = frame.sort_values("rep", kind="stable")
-    rep, comp, n = (frame[c].to_numpy(np.int64) for c in ("rep", "component", "n"))
-    cells = np.frombuffer(b"".join(frame["cells"]), np.uint8).reshape(-1, CELLS).astype(np.int16)
-    out = []
-    for i in range(len(rep) - 1):
-        rest = np.arange(i + 1, len(rep))
-        rest = rest[(comp[rest] != comp[i]) & (OF * np.minimum(n[rest], n[i]) >= SHARE * np.maximum(n[rest], n[i]))]
-        near = np.abs(cells[rest] - cells[i]).sum(1) <= difference(n[rest], n[i])
-        out += [(rep[j], rep[i]) for j in rest[near]]
-    return pd.DataFrame(out, columns=["a", "b"], dtype=np.int64)
+def _across(nearest: int | None):
+    """Pairs of a group across components whose sizes and coarse counts allow a link: the nearest few, or all.
+
+    Members of the group's largest component are not the ones to look from: the others look at them.
+    """
+
+    def run(frame: pd.DataFrame) -> pd.DataFrame:
+        frame = frame.sort_values("rep", kind="stable")
+        rep, comp, n = (frame[c].to_numpy(np.int64) for c in ("rep", "component", "n"))
+        cells = np.frombuffer(b"".join(frame["cells"]), np.uint8).reshape(-1, CELLS)
+        names, sizes = np.unique(comp, return_counts=True)
+        minor = comp != names[sizes.argmax()]
+        out = []
+        for i in np.flatnonzero(minor).tolist():
+            rest = np.flatnonzero((comp != comp[i]) & (~minor | (np.arange(len(rep)) < i)) & (OF * np.minimum(n, n[i]) >= SHARE * np.maximum(n, n[i])))
+            apart = (np.maximum(cells[rest], cells[i]) - np.minimum(cells[rest], cells[i])).sum(1, dtype=np.int64)
+            near = apart <= difference(n[rest], n[i])
+            rest, apart = rest[near], apart[near]
+            if nearest is not None:
+                rest = rest[np.argsort(apart, kind="stable")[:nearest]]
+            out += [(max(rep[i], rep[j]), min(rep[i], rep[j])) for j in rest]
+        return pd.DataFrame(out, columns=["a", "b"], dtype=np.int64)
+
+    return run
 
 
 def joined(docs: DataFrame) -> DataFrame:
@@ -379,16 +388,26 @@ def joined(docs: DataFrame) -> DataFrame:
     checked = stored(verified(rows, stored(pairs, "pairs")), "checked")
     good = checked.where("good").select("a", "b")
     comps = stored(components(good), "components")
-    # groups that a failed comparison leaves in several components
-    labelled = classes.join(comps, classes["rep"] == comps["node"], "left").select("class", "rep", "n", "cells", F.coalesce("component", "rep").alias("component"))
-    failed = checked.where("not good").join(labelled.select(F.col("rep").alias("a"), F.col("component").alias("ca")), "a").join(labelled.select(F.col("rep").alias("b"), F.col("component").alias("cb"), F.col("class").alias("other")), "b").where("ca <> cb").select("other").distinct()
-    groups = met.where("kind = 'group'").join(failed, "other", "left_semi").select(F.xxhash64("members").alias("group"), "members").dropDuplicates(["group"])
-    members = groups.mapInArrow(_unpack, "group long, class long").join(labelled, "class")
-    mixed_groups = members.groupBy("group").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high").select("group")
-    more = members.join(mixed_groups, "group", "left_semi").select("group", "rep", "component", "n", "cells").groupBy("group").applyInPandas(_across, _PAIRS).distinct()
-    more = stored(more.join(checked, ["a", "b"], "left_anti"), "more-pairs")
-    if not more.isEmpty():
+    # groups of a failed comparison may still hold several components: nearest members first, in the largest group of
+    # each head, then all pairs that the bound allows
+    loose = checked.where("not good").join(reps.select(F.col("rep").alias("b"), F.col("class").alias("other")), "b").select("other").distinct()
+    groups = met.where("kind = 'group'").join(loose, "other", "left_semi").select("other", F.xxhash64("members").alias("group"), "members").dropDuplicates(["group"])
+    groups = stored(groups, "groups")
+    compared = checked.select("a", "b")
+    for nearest in (NEAREST, NEAREST, None):
+        labelled = classes.join(comps, classes["rep"] == comps["node"], "left").select("class", "rep", "n", "cells", F.coalesce("component", "rep").alias("component"))
+        members = stored(groups.select("group", "members").mapInArrow(_unpack, "group long, class long").join(labelled.select("class", "component"), "class"), "members")
+        open_groups = members.groupBy("group").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high").select("group")
+        if nearest is not None:
+            heads = groups.join(open_groups, "group", "left_semi").groupBy("other").agg(F.max_by("group", F.struct(F.octet_length("members"), "group")).alias("group"))
+            open_groups = heads.select("group").distinct()
+        inside = members.join(open_groups, "group", "left_semi").select("group", "class").join(labelled, "class")
+        more = inside.select("group", "rep", "component", "n", "cells").groupBy("group").applyInPandas(_across(nearest), _PAIRS).distinct()
+        more = stored(more.join(compared, ["a", "b"], "left_anti"), "more-pairs")
+        if more.isEmpty():
+            continue
         again = stored(verified(rows, more).where("good").select("a", "b"), "checked-again")
+        compared = compared.unionByName(more)
         comps = stored(components(comps.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(again)), "components")
     own = found.join(reps, "class", "left").join(comps, F.col("rep") == F.col("node"), "left")
     return own.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "rep", "doc_id").alias("component_id"))
