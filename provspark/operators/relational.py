@@ -128,7 +128,33 @@ def source_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return stored(load(spark, sf_dir, "nation"), "roundtrip").select("n_nationkey", "n_name")
 
 
+def udtf_explanations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Explanations of small formulas as rows: {k}, {k, k + 1}, {k + 1, k + 2} leaves two."""
+    from ..functions.sql import register
+
+    register(spark)
+    load(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("long").alias("k")).createOrReplaceTempView("_keys")
+    return spark.sql("SELECT k, CAST(size AS BIGINT) AS size FROM _keys, LATERAL minimal_explanations(array(array(k), array(k, k + 1), array(k + 1, k + 2)))")
+
+
+def udaf_noisy_or(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from ..functions.sql import noisy_or_agg
+
+    facts = load(spark, sf_dir, "customer").select("c_nationkey", (hash_pi(F.col("c_custkey")) / 100).alias("p"))
+    return facts.groupBy("c_nationkey").agg(F.round(noisy_or_agg("p"), 6).alias("p"))
+
+
+def generated_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from ..sources.generated import register
+
+    register(spark)
+    edges = spark.read.format("uncertain_graph").option("nodes", 30).option("edges", 1).load()
+    return edges.agg(F.count("*").alias("edges"), F.count_if((F.col("pi") > 0) & (F.col("pi") <= 1)).alias("sound"))
+
+
 OPERATORS = {
+    "udtf_explanations": (udtf_explanations, "SELECT CAST(n_nationkey AS BIGINT) AS k, s AS size FROM nation, (SELECT CAST(1 AS BIGINT) AS s UNION ALL SELECT 2)"),
+    "source_generated_graph": (generated_graph, "SELECT CAST(29 AS BIGINT) AS edges, CAST(29 AS BIGINT) AS sound"),
     "op_semi_guard": (semi_guard, "SELECT o_orderkey, o_custkey FROM orders WHERE o_custkey IN (SELECT c_custkey FROM customer WHERE c_mktsegment = 'BUILDING')"),
     "op_anti_delta": (anti_delta, "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)"),
     "op_full_outer_merge": (full_outer_merge, "SELECT doc_id, CAST((CASE WHEN quality = 1 THEN 1 ELSE 0 END) + 2 * (CASE WHEN toxic = 1 THEN 1 ELSE 0 END) AS BIGINT) AS state FROM labels WHERE quality = 1 OR toxic = 1"),
@@ -149,6 +175,7 @@ OPERATORS = {
     "op_approx_distinct": (approx_distinct, "SELECT count(DISTINCT o_custkey) AS exact, true AS near FROM orders"),
     "op_percentile": (percentile, "SELECT c_mktsegment, round(quantile_cont(c_acctbal, 0.5), 4) AS mid FROM customer GROUP BY 1"),
     "op_noisy_or": (noisy_or_by_nation, "SELECT c_nationkey, round(1 - product(1 - CAST((c_custkey * 7919) % 997 + 1 AS DOUBLE) / CAST(1000 AS DOUBLE) / 100), 6) AS p FROM customer GROUP BY 1"),
+    "udaf_noisy_or": (udaf_noisy_or, "SELECT c_nationkey, round(1 - product(1 - CAST((c_custkey * 7919) % 997 + 1 AS DOUBLE) / CAST(1000 AS DOUBLE) / 100), 6) AS p FROM customer GROUP BY 1"),
     "op_recursive_cte": (recursive_cte, "WITH RECURSIVE t AS (SELECT DISTINCT conv_id, turn FROM conversations), c(conv_id, turn, d) AS (SELECT conv_id, turn, 1 FROM t WHERE turn = 0 UNION ALL SELECT t.conv_id, t.turn, c.d + 1 FROM c JOIN t ON t.conv_id = c.conv_id AND t.turn = c.turn + 1) SELECT conv_id, CAST(max(d) AS BIGINT) AS depth FROM c GROUP BY 1"),
     "source_roundtrip": (source_roundtrip, "SELECT n_nationkey, n_name FROM nation"),
 }
