@@ -17,7 +17,7 @@ import pyarrow.compute as pc
 from .common import Words
 
 #: Words kept by a worker before it starts afresh.
-CACHE_WORDS = 700_000
+CACHE_WORDS = 400_000
 
 _PLAIN = re.compile(r"([a-zß-öø-ÿ]+)([.,]*)").fullmatch
 
