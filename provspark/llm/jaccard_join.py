@@ -153,7 +153,7 @@ def _in_space(sets: Sets, which: np.ndarray, space: int, up: int) -> tuple[np.nd
     low = np.bincount(cell, (codes & np.uint64(0xFFFFFFFF)).astype(float), n_cells)
     top = np.bincount(cell, (codes >> np.uint64(32)).astype(float), n_cells)
     total = low.astype(np.uint64) + (top.astype(np.uint64) << np.uint64(32))
-    salt = mixed(np.uint64(space) * _A + np.arange(segments, dtype=np.uint64))
+    salt = mixed(np.full(segments, space, np.uint64) * _A + np.arange(segments, dtype=np.uint64))
     per_set = load.reshape(-1, segments)
     none, few = (per_set == 0).sum(1), (per_set <= 1).sum(1)
     room = segments - (differ // 2 if deletions else differ) - 1
@@ -398,6 +398,9 @@ def joined(docs: DataFrame) -> DataFrame:
         labelled = classes.join(comps, classes["rep"] == comps["node"], "left").select("class", "rep", "n", "cells", F.coalesce("component", "rep").alias("component"))
         members = stored(groups.select("group", "members").mapInArrow(_unpack, "group long, class long").join(labelled.select("class", "component"), "class"), "members")
         open_groups = members.groupBy("group").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high").select("group")
+        open_groups = stored(open_groups, "open-groups")
+        if open_groups.isEmpty():
+            break
         if nearest is not None:
             heads = groups.join(open_groups, "group", "left_semi").groupBy("other").agg(F.max_by("group", F.struct(F.octet_length("members"), "group")).alias("group"))
             open_groups = heads.select("group").distinct()
