@@ -446,9 +446,8 @@ def reply_chain(spark, sf_dir):
 n AS (SELECT path FROM l GROUP BY 1 HAVING count(*) <= 5)
 SELECT DISTINCT x.page_id AS a, y.page_id AS b FROM l x JOIN l y ON x.path = y.path AND x.page_id <> y.page_id WHERE x.path IN (SELECT path FROM n)""")
 def page_link_reach(spark, sf_dir):
-    links = graphs.page_links(spark, sf_dir)
-    rare = links.groupBy("path").agg(F.count("*").alias("n")).where("n <= 5").select("path")
-    base = facts("links", links.join(rare, "path", "left_semi"), ["page_id", "path"], 1.0, unique=True)
+    # every shared path counts, however many pages share it; the twin still looks at paths of at most 5 pages
+    base = facts("links", graphs.page_links(spark, sf_dir), ["page_id", "path"], 1.0, unique=True)
     linked = set_fixpoint(Program(rules("linked(A,B) :- links(A,X), links(B,X)."), {"links": base})).of("linked")
     return linked.where("a0 <> a1").select(F.col("a0").alias("a"), F.col("a1").alias("b"))
 
