@@ -454,20 +454,26 @@ def page_link_reach(spark, sf_dir):
 
 @query()
 def vqa_exact(spark, sf_dir):
-    result = w.remembered(("vqa", sf_dir), lambda: reason(graphs.scenes(spark, sf_dir, 5), collapse=10))
+    result = w.remembered(("vqa", sf_dir), lambda: reason(graphs.scenes(spark, sf_dir), collapse=10))
     got = probabilities(lineage(result, "has"), base_probabilities(result.program), "dd", budget=20_000)
     return got.select(F.col("a0").alias("scene"), F.col("a1").alias("label"), F.round("prob", 6).alias("prob"), "n_expl", "status")
 
 
+def error_buckets(both: DataFrame) -> DataFrame:
+    """bucket, n: tenths of the relative error of ``approx`` against ``exact``; -1 counts answers without an exact probability."""
+    error = F.abs((F.col("exact") - F.coalesce("approx", F.lit(0.0))) / F.col("exact"))
+    bucket = F.when((F.col("status") != "ok") | error.isNull(), F.lit(-1)).otherwise(F.least(F.floor(F.round(error, 6) * 10), F.lit(9)))
+    return both.groupBy(bucket.cast("long").alias("bucket")).agg(F.count("*").alias("n"))
+
+
 @query()
 def vqa_error_hist(spark, sf_dir):
-    program = graphs.scenes(spark, sf_dir, 5)
-    exact = vqa_exact(spark, sf_dir).select(F.col("scene").alias("a0"), F.col("label").alias("a1"), F.col("prob").alias("exact"))
+    program = graphs.scenes(spark, sf_dir)
+    exact = vqa_exact(spark, sf_dir).select(F.col("scene").alias("a0"), F.col("label").alias("a1"), F.col("prob").alias("exact"), "status")
     small = Program([r for r in program.rules if r.head.pred in ("isa", "has")], {k: v for k, v in program.facts.items() if k in ("looks_like", "parent", "in_scene")})
     top = topk_fixpoint(small, 1).of("has").select("a0", "a1", "dnf")
     approx = probabilities(top, base_probabilities(small)).select("a0", "a1", F.col("prob").alias("approx"))
-    both = exact.join(approx, ["a0", "a1"], "left").withColumn("error", (F.col("exact") - F.coalesce("approx", F.lit(0.0))) / F.col("exact"))
-    return both.groupBy(F.least(F.floor(F.round(F.abs("error"), 6) * 10), F.lit(9)).cast("long").alias("bucket")).agg(F.count("*").alias("n"))
+    return error_buckets(exact.join(approx, ["a0", "a1"], "left"))
 
 
 _TRIPLES = """t AS (SELECT n_name AS s, 'region' AS p, r_name AS o FROM nation JOIN region ON n_regionkey = r_regionkey

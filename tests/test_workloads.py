@@ -1,6 +1,7 @@
 import re
 from collections import defaultdict
 
+from provspark import queries
 from provspark.queries import QUERIES
 
 
@@ -15,3 +16,22 @@ def test_page_links_over_paths_of_many_pages(spark, tmp_path):
     wanted = {(a, b) for pages in by.values() for a in pages for b in pages if a != b}
     got = [tuple(r) for r in QUERIES["page_link_reach"](spark, str(tmp_path)).collect()]
     assert len(wanted) == 42 and sorted(got) == sorted(wanted)
+
+
+def test_all_scenes_take_part(spark, monkeypatch):
+    asked = []
+    monkeypatch.setattr(queries.graphs, "scenes", lambda *given, **named: asked.append((given[2:], named)))
+    monkeypatch.setattr(queries.w, "remembered", lambda key, make: make())
+    monkeypatch.setattr(queries, "reason", lambda *given, **named: 1 / 0)
+    for name in ("vqa_exact", "vqa_error_hist"):
+        try:
+            QUERIES[name](spark, "none")
+        except ZeroDivisionError:
+            pass
+    assert len(asked) == 3 and all(x == ((), {}) for x in asked)
+
+
+def test_unanswered_facts_are_no_errors(spark):
+    rows = [(0.5, 0.45, "ok"), (0.5, None, "ok"), (None, 0.3, "node_cap"), (None, None, "node_cap")]
+    got = queries.error_buckets(spark.createDataFrame(rows, "exact double, approx double, status string"))
+    assert {r["bucket"]: r["n"] for r in got.collect()} == {1: 1, 9: 1, -1: 2}
