@@ -28,6 +28,10 @@ KINDS = ("email", "ip", "card", "phone")
 LABELS = ("O", *(f"{x}-{k}" for k in KINDS for x in "BI"))
 #: Bound of the documents, taken by hash, whose base spans teach the field; and of the spans used.
 TRAIN_DOCS, TRAIN_SPANS, EPOCHS = 2000, 600, 40
+#: Most training sequences, drawn at random from those of the sample (noise among them), and their most words.
+TRAIN_SEQUENCES, TRAIN_WORDS = 6000, 40
+#: Words, with padding, that one batch of decoding holds.
+DECODE_WORDS = 1 << 16
 
 _WORD = re.compile(r"[^\x20\x09-\x0D]+")
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -187,11 +191,10 @@ class Field:
         order = sorted(range(len(coded)), key=lambda i: len(coded[i]))
         out: list[list[int]] = [[]] * len(coded)
         moves = self._moves()
-        for a in range(0, len(order), 512):
-            some = order[a : a + 512]
+        for some in _batches(order, [len(x) for x in coded]):
             scores, lengths = self._scores([coded[i] for i in some])
             n, longest, k = scores.shape
-            best, back = np.where(self.start, scores[:, 0], -1e9), np.zeros((n, longest, k), np.int64)
+            best, back = np.where(self.start, scores[:, 0], -1e9), np.zeros((n, longest, k), np.int8)
             for t in range(1, longest):
                 steps = best[:, :, None] + moves
                 back[:, t] = steps.argmax(1)
@@ -206,25 +209,39 @@ class Field:
         return out
 
 
-def runs(text: str) -> list[tuple[list[str], list[tuple[int, int]], int, int]]:
-    """Runs of words that may carry personal data: the words with one neighbour each side, offsets, first and last."""
+def _batches(order: list[int], lengths: list[int]) -> Iterator[list[int]]:
+    """Runs of ``order`` (shortest first) of at most 512 sequences and about DECODE_WORDS padded words."""
+    some: list[int] = []
+    for i in order:
+        if some and (len(some) == 512 or (len(some) + 1) * lengths[i] > DECODE_WORDS):
+            yield some
+            some = []
+        some.append(i)
+    if some:
+        yield some
+
+
+def runs(text: str, most: int | None = None) -> list[tuple[list[str], list[tuple[int, int]], int, int]]:
+    """Runs of words that may carry personal data: the words with one neighbour each side, offsets, first and last.
+
+    ``most`` cuts longer runs (for training only: a cut may split a span).
+    """
     found, words, spans = [], [], []
     for m in _WORD.finditer(text):
         words.append(m[0])
         spans.append(m.span())
     hot = [i for i, w in enumerate(words) if _SEED_WORD.search(w)]
-    for a, b in _stretches(hot):
+    for a, b in _stretches(hot, most):
         low, high = max(0, a - 1), min(len(words), b + 2)
         found.append((words[low:high], spans[a : b + 1], a - low, b - low))
     return found
 
 
-def _stretches(hot: list[int]) -> Iterator[tuple[int, int]]:
+def _stretches(hot: list[int], most: int | None) -> Iterator[tuple[int, int]]:
     begin = None
     for i, at in enumerate(hot):
         begin = at if begin is None else begin
-        # long stretches of numbers are no sequence to label at once
-        if i + 1 == len(hot) or hot[i + 1] != at + 1 or at - begin >= 39:
+        if i + 1 == len(hot) or hot[i + 1] != at + 1 or most and at - begin + 1 >= most:
             yield begin, at
             begin = None
 
@@ -260,7 +277,7 @@ def training_table(texts: list[str], most: int = TRAIN_SPANS, seed: int = 11) ->
     for text in texts:
         gold = base_spans(text)
         if spans_used < most or not gold:
-            for words, spans, a, b in runs(text)[:40]:
+            for words, spans, a, b in runs(text, TRAIN_WORDS)[:40]:
                 sequences.append([features(words, i) for i in range(a, b + 1)])
                 labels.append(_labels(spans, gold))
         for k, s, e in gold if spans_used < most else []:
@@ -290,19 +307,23 @@ def train(docs: DataFrame, most: int = TRAIN_DOCS) -> Field:
     field = Field()
     sequences, labels = training_table([r["text"] for r in picked.toLocalIterator()])
     if sequences:
-        field.fit(sequences[:6000], labels[:6000])
+        drawn = np.sort(np.random.default_rng(13).permutation(len(sequences))[:TRAIN_SEQUENCES])
+        field.fit([sequences[i] for i in drawn], [labels[i] for i in drawn])
     return field
 
 
 def added_spans(texts: list[str], base: list[list[Span]], field: Field) -> list[list[Span]]:
     """What the field finds beyond the base spans."""
     owners, offsets, sequences, out = [], [], [], [[] for _ in texts]
+    taken: dict[int, bytearray] = {}
     for i, text in enumerate(texts):
         if not _SEED_WORD.search(text):
             continue
-        taken = base[i]
+        taken[i] = bytearray(len(text))
+        for _, s, e in base[i]:
+            taken[i][s:e] = b"\1" * (e - s)
         for words, spans, a, b in runs(text):
-            if all(any(s < y and x < e for _, s, e in taken) for x, y in spans):
+            if all(1 in taken[i][x:y] for x, y in spans):
                 continue
             owners.append(i)
             offsets.append(spans)
@@ -319,8 +340,9 @@ def added_spans(texts: list[str], base: list[list[Span]], field: Field) -> list[
                 t += 1
             begin, end = spans[first][0], spans[t - 1][1]
             begin, end = _trimmed(texts[i], begin, end)
-            if begin < end and _plausible(kind, texts[i][begin:end]) and not any(s < end and begin < e for _, s, e in [*base[i], *out[i]]):
+            if begin < end and _plausible(kind, texts[i][begin:end]) and 1 not in taken[i][begin:end]:
                 out[i].append((kind, begin, end))
+                taken[i][begin:end] = b"\1" * (end - begin)
     return out
 
 

@@ -1,0 +1,26 @@
+import numpy as np
+
+from provspark.llm import pii
+
+
+class Groups:
+    """Labels a word of four digits as the begin of a phone number, all others as its rest."""
+
+    def decode(self, sequences):
+        begin, rest = pii.LABELS.index("B-phone"), pii.LABELS.index("I-phone")
+        return [[begin if "digits=4" in x else rest for x in sequence] for sequence in sequences]
+
+
+def test_numbers_across_long_runs_are_found_whole():
+    number, n = "0049 170 1234567", 200
+    text = " ".join([number] * n)
+    found = pii.added_spans([text], [[]], Groups())[0]
+    assert found == [("phone", i * (len(number) + 1), i * (len(number) + 1) + len(number)) for i in range(n)]
+
+
+def test_training_keeps_noise_of_long_tables(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(pii.Field, "fit", lambda self, sequences, labels: seen.append(labels))
+    monkeypatch.setattr(pii, "training_table", lambda texts: ([[["x"]]] * 12_000, [[1]] * 8000 + [[0]] * 4000))
+    pii.train(spark.createDataFrame([(1, "at 10.0.0.1")], "doc_id long, text string"))
+    assert len(seen[0]) == pii.TRAIN_SEQUENCES and 0.25 < np.mean([x == [0] for x in seen[0]]) < 0.4
