@@ -2,8 +2,7 @@
 
 * ``set_fixpoint``: ordinary Datalog, naive or semi-naive;
 * ``formula_fixpoint``: formulas in rounds (derive, disjoin per fact, merge with the old formula, test equivalence), for
-  all instantiations or for those that touch a changed fact only, the latter also in the rewritten form with auxiliary
-  tables; with ``k`` the approximate variant that keeps the k most probable explanations of a fact;
+  all instantiations or for those that touch a changed fact only; with ``k`` the approximate variant that keeps the k most probable explanations of a fact;
 * ``circuit``: a provenance circuit with two or-gates per fact and an and-gate per instantiation;
 * ``worlds``: the definition itself, by enumeration of all possible worlds of few facts.
 """
@@ -88,10 +87,11 @@ def set_fixpoint(program: Program, mode: str = "delta", most_rounds: int = 100,
 def formula_fixpoint(program: Program, mode: str = "naive", k: int | None = None, rounds: int | None = None, check: bool = True, most_rounds: int = 40) -> Fixpoint:
     """Facts with absorbed formulas.
 
-    ``mode``: ``naive`` recomputes every instantiation each round, ``delta`` those with a changed fact, ``rewritten`` does
-    so through auxiliary tables of changed facts and outer joins.  ``check`` False runs ``rounds`` rounds without any
+    ``mode``: ``naive`` recomputes every instantiation each round, ``delta`` those with a changed fact.  ``check`` False runs ``rounds`` rounds without any
     equivalence test.  ``k`` keeps the k most probable explanations.
     """
+    if mode not in ("naive", "delta"):
+        raise ValueError(f"unknown mode {mode!r}")
     program = normalize(program)
     derived, out = program.derived, Fixpoint()
     weights = union([df.select("fid", "pi") for df in program.facts.values()]).dropDuplicates(["fid"]) if k else None

@@ -1,7 +1,10 @@
 import re
 from collections import defaultdict
 
+import pytest
+
 from provspark import queries
+from provspark.plans.baselines import formula_fixpoint
 from provspark.queries import QUERIES
 
 
@@ -35,3 +38,8 @@ def test_unanswered_facts_are_no_errors(spark):
     rows = [(0.5, 0.45, "ok"), (0.5, None, "ok"), (None, 0.3, "node_cap"), (None, None, "node_cap")]
     got = queries.error_buckets(spark.createDataFrame(rows, "exact double, approx double, status string"))
     assert {r["bucket"]: r["n"] for r in got.collect()} == {1: 1, 9: 1, -1: 2}
+
+
+def test_unknown_fixpoint_modes_are_refused(spark):
+    with pytest.raises(ValueError, match="rewritten"):
+        formula_fixpoint(queries.w.reach_example(spark), "rewritten")
