@@ -1,11 +1,15 @@
-"""Best-fit packing of token documents into fixed-length sequences by a configuration linear program.
-
-Only the histogram of piece lengths reaches the driver (at most ``capacity`` figures, whatever the corpus).  The
-covering program over configurations - multisets of lengths that fit one sequence - is solved by multiplicative
-weights: lengths that are still short get more weight, a knapsack dynamic program finds the configuration of most
-weight, and the average of those found is the fractional solution.  Whole copies of each configuration are taken; what
-rounding leaves over, bounded by the number of configurations, is packed by best-fit decreasing.  Pieces then take
-their places by rank within their length, found with one search in the table of places.
+"""Packing of token documents into fixed-length sequences by a configuration linear program.
+
+Only the histogram of piece lengths reaches the driver (at most ``capacity`` figures, whatever the corpus).  A
+configuration is a multiset of lengths that fits one sequence.  The covering program - fewest sequences such that every
+length is covered - is solved by multiplicative weights: a length weighs less the more of it is covered, a knapsack
+dynamic program over the ``PRICED`` lengths of most weight finds the configuration worth most (partial pricing), and the
+average of the configurations found, scaled to cover, is the fractional solution.  Its full configurations are rounded
+down to whole uses, then up, in order of use, as long as the pieces last; what is left is a smaller program, solved and
+rounded the same way, until the pieces left are fewer than one in ``REST``, which go by best fit into the room left in the
+sequences placed and into new ones.
+
+Pieces take their places by rank within their length, found with one search in the table of places.
 """
 
 from __future__ import annotations
@@ -13,6 +17,7 @@ from __future__ import annotations
 import zlib
 from collections import Counter
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -22,116 +27,127 @@ from pyspark.sql import functions as F
 from .common import ids_and_texts, slices, stored, text_arrow
 from .subwords import encode_texts
 
-#: Rounds of multiplicative weights, and how strongly a round moves them.
-ROUNDS, STEP = 160, 0.5
+#: Lengths that a knapsack prices, and how much more of it a longer one is worth; how strongly weights fall with what is
+#: covered; one in so many pieces may be left to best fit; a configuration is full with so little room.
+PRICED, POWER, FALL, REST, LOOSE = 64, 1.3, 1.0, 12, 2
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, task long, rank long"
 
 
-def knapsack(value: np.ndarray, capacity: int) -> list[int]:
-    """Lengths of the most valuable multiset that fits; value[l] is the worth of length l (0: not for sale)."""
-    lengths = np.flatnonzero(value > 0)
-    best, choice = np.zeros(capacity + 1), np.zeros(capacity + 1, np.int64)
-    if not len(lengths):
-        return []
-    worth = value[lengths]
-    for room in range(int(lengths[0]), capacity + 1):
-        fit = np.searchsorted(lengths, room, "right")
-        gains = best[room - lengths[:fit]] + worth[:fit]
-        top = int(gains.argmax())
-        if gains[top] > best[room - 1]:
-            best[room], choice[room] = gains[top], lengths[top]
-        else:
-            best[room] = best[room - 1]
-    out, room = [], capacity
-    while room > 0:
-        if choice[room]:
-            out.append(int(choice[room]))
-            room -= int(choice[room])
-        else:
-            room -= 1
-    return out
-
-
-def configurations(need: np.ndarray, capacity: int, rounds: int = ROUNDS, step: float = STEP) -> list[tuple[Counter, float]]:
-    """Fractional covering solution: configurations and how often each is used."""
-    kinds = np.flatnonzero(need)
-    if not len(kinds):
-        return []
-    weight, covered, found = kinds / capacity, np.zeros(len(kinds)), []
-    place = {int(x): i for i, x in enumerate(kinds)}
-    at_least = float((kinds * need[kinds]).sum() / capacity)
-    for _ in range(rounds):
-        price = np.zeros(capacity + 1)
-        price[kinds] = weight
-        config = Counter(knapsack(price, capacity))
-        # use it until its scarcest length is covered, but for no more than a share of the least number of sequences
-        times = min(min(need[x] / k for x, k in config.items()), max(1.0, at_least / 12))
-        found.append((config, times))
-        for x, k in config.items():
-            covered[place[x]] += k * times / need[x]
-        weight = kinds / capacity * np.exp(-step * 8 * (covered - covered.min()))
-        weight[covered >= 1] = 0
-        if not weight.any():
-            break
+def knapsack(value: np.ndarray, most: np.ndarray, capacity: int) -> Counter:
+    """The most valuable multiset that fits: value[k] is the worth of an item of size k, most[k] how many there are."""
+    items = []  # (size, worth, multiple): multiples by doubling, so that any number up to most[k] can be put together
+    for k in np.flatnonzero((value > 0) & (most > 0)).tolist():
+        left, times = min(int(most[k]), capacity // k), 1
+        while left > 0:
+            times = min(times, left)
+            items.append((k * times, float(value[k]) * times, k, times))
+            left, times = left - times, times * 2
+    best, taken = np.zeros(capacity + 1), np.zeros((len(items), capacity + 1), bool)
+    for i, (size, worth, _, _) in enumerate(items):
+        gain = best[: capacity + 1 - size] + worth
+        better = taken[i, size:]
+        np.greater(gain, best[size:] + 1e-12, out=better)
+        np.copyto(best[size:], gain, where=better)
+    found, room = Counter(), capacity
+    for i in range(len(items) - 1, -1, -1):
+        if taken[i, room]:
+            found[items[i][2]] += items[i][3]
+            room -= items[i][0]
     return found
 
 
-def best_fit(left: list[int], capacity: int) -> list[list[int]]:
-    """Best-fit decreasing, with the sequences kept by their free room."""
-    rooms: dict[int, list[list[int]]] = {}
-    done: list[list[int]] = []
-    occupied = np.zeros(capacity + 1, bool)
-    for x in sorted(left, reverse=True):
-        ahead = np.flatnonzero(occupied[x:])
-        if len(ahead):
-            room = x + int(ahead[0])
-            config = rooms[room].pop()
-            occupied[room] = bool(rooms[room])
-        else:
-            room, config = capacity, []
-            done.append(config)
-        config.append(x)
-        rooms.setdefault(room - x, []).append(config)
-        occupied[room - x] = True
-    return done
-
-
-def plan(need: np.ndarray, capacity: int) -> list[tuple[list[int], int]]:
-    """Whole configurations (lengths, longest first) and how often each is used; covers need exactly.
-
-    The rounded program, or the greedy plan alone where that takes fewer sequences.
-    """
-    plans = [_rounded(need, capacity, start) for start in (configurations(need, capacity), [])]
-    return min(plans, key=lambda chosen: sum(times for _, times in chosen))
-
-
-def _rounded(need: np.ndarray, capacity: int, start: list[tuple[Counter, float]]) -> list[tuple[list[int], int]]:
-    left, chosen = need.astype(np.int64).copy(), []
-    for config, times in start:
-        whole = min(int(times), *(int(left[x]) // k for x, k in config.items()))
-        if whole > 0:
-            chosen.append((sorted(config.elements(), reverse=True), whole))
-            for x, k in config.items():
-                left[x] -= k * whole
-    # lengths still in great number: the longest that fit, as often as they last; the rest by best fit
-    while left.sum() > 20_000:
-        config, room, spare = [], capacity, left.copy()
-        while room > 0 and (fit := np.flatnonzero(spare[: room + 1])).size:
-            config.append(int(fit[-1]))
-            spare[fit[-1]] -= 1
-            room -= int(fit[-1])
-        uses = Counter(config)
-        times = max(1, min(int(left[x]) // k for x, k in uses.items()))
-        chosen.append((config, times))
-        for x, k in uses.items():
-            left[x] -= k * times
-    merged: Counter = Counter()
-    for config, times in chosen:
-        merged[tuple(config)] += times
-    for config in best_fit(np.repeat(np.arange(len(left)), left).tolist(), capacity):
-        merged[tuple(config)] += 1
-    return [(list(config), times) for config, times in merged.items()]
+def fractional(need: np.ndarray, capacity: int, rng: np.random.Generator) -> list[tuple[Counter, float]]:
+    """Fractional covering solution: configurations and how often each is used, the full and most used ones first."""
+    kinds = np.flatnonzero(need)
+    covered = np.zeros(len(kinds))
+    place = {int(x): i for i, x in enumerate(kinds)}
+    used: dict[tuple, float] = {}
+    while len(open_ := np.flatnonzero(covered < 1)):
+        priced = open_
+        if len(open_) > PRICED:  # a quarter of them the longest, the others drawn among those least covered
+            rest, top = open_[: -(PRICED // 4)], open_[-(PRICED // 4) :]
+            priced = np.append(rest[np.argpartition(covered[rest] + rng.random(len(rest)), PRICED - len(top))[: PRICED - len(top)]], top)
+        worth, most = np.zeros(capacity + 1), np.zeros(capacity + 1, np.int64)
+        worth[kinds[priced]] = (kinds[priced] / capacity) ** POWER * np.exp(-FALL * covered[priced])
+        most[kinds[priced]] = need[kinds[priced]]
+        config = knapsack(worth, most, capacity)
+        times = min(need[x] / n for x, n in config.items())
+        key = tuple(sorted(config.items()))
+        used[key] = used.get(key, 0.0) + times
+        for x, n in config.items():
+            covered[place[x]] += n * times / need[x]
+    # the average, scaled so that the length covered least is covered once
+    scale = 1 / covered.min() if len(kinds) else 1.0
+    full = lambda key: capacity - sum(x * n for x, n in key) <= LOOSE
+    return [(Counter(dict(key)), times * scale) for key, times in sorted(used.items(), key=lambda x: (not full(x[0]), -x[1], x[0]))]
+
+
+def configurations(need: np.ndarray, capacity: int, seed: int = 17) -> tuple[Counter, np.ndarray]:
+    """Whole uses of configurations by repeated solving and rounding, and the pieces they leave."""
+    left, chosen, rng = need.astype(np.int64).copy(), Counter(), np.random.default_rng(seed)
+    enough, loose = int(need.sum()) // REST, LOOSE
+    while left.sum() > enough:
+        before, solution = int(left.sum()), fractional(left, capacity, rng)
+        for up in (False, True):
+            for config, times in solution:
+                if capacity - sum(x * n for x, n in config.items()) > loose:
+                    continue
+                whole = min(int(np.ceil(times) if up else times), *(int(left[x]) // n for x, n in config.items()))
+                if whole > 0:
+                    chosen[tuple(sorted(config.elements(), reverse=True))] += whole
+                    for x, n in config.items():
+                        left[x] -= n * whole
+        if before - left.sum() < before // 10:
+            loose = 2 * loose + 1  # few full configurations are left
+            if loose > capacity:
+                break
+    return chosen, left
+
+
+@dataclass
+class Plan:
+    """Whole configurations of exact lengths and how often each is used; pieces that the program placed."""
+
+    chosen: list[tuple[list[int], int]]
+    placed: int
+
+
+def plan(need: np.ndarray, capacity: int) -> Plan:
+    """Covers ``need`` (pieces by length) exactly."""
+    sequences, left = configurations(need, capacity)
+    return Plan(best_fit(sequences, left, capacity), int(need.sum() - left.sum()))
+
+
+def best_fit(sequences: Counter, left: np.ndarray, capacity: int) -> list[tuple[list[int], int]]:
+    """Pieces ``left`` by length, longest first, each into the sequence of least room that holds it, or a new one."""
+    rooms: list[dict[tuple, int]] = [{} for _ in range(capacity + 1)]
+    for config, times in sequences.items():
+        rooms[capacity - sum(config)][config] = times
+    occupied = np.array([bool(r) for r in rooms])
+    for x in np.flatnonzero(left)[::-1].tolist():
+        n = int(left[x])
+        while n:
+            ahead = np.flatnonzero(occupied[x:])
+            if len(ahead):
+                room = x + int(ahead[0])
+                config, times = next(iter(rooms[room].items()))
+            else:
+                room, config, times = capacity, (), n
+            many = 1 if config else max(1, capacity // x)
+            # as many copies of the sequence as there are pieces, as many pieces in each as go in by best fit anyway
+            each = min(many, room // x, n)
+            copies = min(times, n // each)
+            if config:
+                rooms[room][config] -= copies
+                if not rooms[room][config]:
+                    del rooms[room][config]
+                    occupied[room] = bool(rooms[room])
+            grown = (*config, *[x] * each)
+            rooms[room - x * each][grown] = rooms[room - x * each].get(grown, 0) + copies
+            occupied[room - x * each] = True
+            n -= each * copies
+    return [(sorted(config, reverse=True), times) for by in rooms for config, times in by.items()]
 
 
 def places(chosen: list[tuple[list[int], int]]) -> dict[str, np.ndarray]:
@@ -202,7 +218,7 @@ def pack(docs: DataFrame, tokenizer: str, capacity: int = 4096, end_id: int = 1)
     need = np.zeros(capacity + 1, np.int64)
     for r in counts.groupBy("length").agg(F.sum("n").alias("n")).collect():  # one row a length
         need[r["length"]] = r["n"]
-    table = spark.sparkContext.broadcast(places(plan(need, capacity)))
+    table = spark.sparkContext.broadcast(places(plan(need, capacity).chosen))
     before = counts.select("task", "length", F.coalesce(F.sum("n").over(Window.partitionBy("length").orderBy("task").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
     ranked = pieces.join(before, ["task", "length"]).withColumn("rank", F.col("rank") + F.col("before"))
     return ranked.drop("task", "before").mapInArrow(_place(table), "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long")
