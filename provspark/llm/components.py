@@ -7,8 +7,6 @@ from pyspark.sql import functions as F
 
 from .common import stored
 
-MOST_ROUNDS = 60
-
 
 def components(links: DataFrame) -> DataFrame:
     """links (a, b) of longs -> (node, component): the smallest node of each component, for every node with a link.
@@ -17,7 +15,7 @@ def components(links: DataFrame) -> DataFrame:
     """
     edges = stored(links.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct(), "edges")
     mark = None
-    for _ in range(MOST_ROUNDS):
+    while True:  # the number of rounds grows with the logarithm of the nodes
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         # large star: neighbours above a node go to the least of its neighbourhood
         least = both.groupBy("u").agg(F.least(F.col("u"), F.min("v")).alias("m"))

@@ -372,7 +372,8 @@ def joined(docs: DataFrame) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id (the smallest doc_id reachable by links).
 
     Null and empty texts have an empty set and are linked with nothing.  Rows that share a doc_id are expected to be
-    copies; a doc_id with several texts takes part with each.
+    copies; a doc_id with several texts takes part with each.  A row without a doc_id belongs to the component of the
+    rows with an equal set (null without any), and no link leads over it.
     """
     rows = ids_and_texts(docs)
     spark = docs.sparkSession
@@ -424,7 +425,15 @@ def _unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def deduplicated(docs: DataFrame) -> DataFrame:
-    """docs with the document of smallest id of each component, and every document without words."""
-    own = joined(docs)
-    kept = own.where("component_id = doc_id").select("doc_id").distinct()
-    return docs.join(kept, "doc_id", "left_semi")
+    """docs with one row of each component, that of smallest doc_id (null last), and every row without words.
+
+    Rows are told apart by a number of their own, so rows without a doc_id and rows that share one are handled like any
+    other: of repeated rows one stays.  The columns are those of docs, whatever their names.
+    """
+    held = docs.select("text", F.col("doc_id").cast("long").alias("doc_id"), F.struct("*").alias("_document"))
+    held = stored(held.withColumn("_row", F.monotonically_increasing_id()), "numbered")
+    own = joined(held.select(F.col("_row").alias("doc_id"), "text")).select(F.col("doc_id").alias("_row"), "n_shingles", "component_id")
+    keys = own.join(held.select("_row", "doc_id"), "_row")
+    first = keys.where("n_shingles > 0").groupBy("component_id").agg(F.min_by("_row", F.struct(F.col("doc_id").isNull(), "doc_id", "_row")).alias("_row")).select("_row")
+    kept = first.unionByName(keys.where("n_shingles = 0").select("_row"))
+    return held.join(kept, "_row", "left_semi").select("_document.*")

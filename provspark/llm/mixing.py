@@ -24,10 +24,10 @@ MOST_STEPS, TOLERANCE = 60, 1e-10
 RANKED_TOGETHER = 50_000
 
 
-def sizes(docs: DataFrame) -> DataFrame:
+def sizes(docs: DataFrame, *carried: str) -> DataFrame:
     size = F.regexp_count(F.coalesce(F.col("text"), F.lit("")), F.lit(WORD_PATTERN)).cast("long")
     key = F.when(F.col("source").isNull(), F.lit("")).otherwise(F.concat(F.lit("="), F.col("source").cast("string")))
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), key.alias("key"), size.alias("size"))
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), key.alias("key"), size.alias("size"), *carried)
 
 
 def targets(sized: DataFrame, weights=WEIGHTS, cap: float = CAP) -> DataFrame:
@@ -85,28 +85,34 @@ def _whole_source(cells: pd.DataFrame) -> pd.DataFrame:
     return cells[["key", "size", "n"]].assign(copies=out)
 
 
-def copies(docs: DataFrame, weights=WEIGHTS, cap: float = CAP) -> DataFrame:
-    """doc_id, key, size, source_size, target, copies - one row per row of docs; the same on every run."""
-    sized = stored(sizes(docs), "sizes")
+def _dealt(rows: DataFrame, sized: DataFrame, weights, cap: float) -> DataFrame:
+    """``rows`` of ``sizes`` with source_size, target, copies; ``sized`` are the same rows as a scratch table."""
     goals = stored(targets(sized, weights, cap), "targets")
     cells = stored(sized.groupBy("key", "size").agg(F.count("*").alias("n")), "cells")
     whole = rates(cells, goals, cap).groupBy("key").applyInPandas(_whole_source, "key string, size long, n long, copies long")
     whole = stored(whole, "whole")
     chunks = (cells.agg(F.max("n")).first()[0] or 0) // RANKED_TOGETHER + 1
-    salted = sized.withColumn("chunk", F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(chunks)))
+    salt = lambda df: df.withColumn("chunk", F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(chunks)))
     inside = Window.partitionBy("key", "size", "chunk").orderBy(F.xxhash64("doc_id", F.lit(2)), "doc_id")
-    before = salted.groupBy("key", "size", "chunk").agg(F.count("*").alias("here"))
+    before = salt(sized).groupBy("key", "size", "chunk").agg(F.count("*").alias("here"))
     before = before.withColumn("before", F.coalesce(F.sum("here").over(Window.partitionBy("key", "size").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
     share = before.join(whole, ["key", "size"]).select("key", "size", "chunk", "before", F.expr("copies div n").alias("each"), F.expr("copies % n").alias("extra"))
-    ranked = salted.withColumn("rank", F.row_number().over(inside)).join(share, ["key", "size", "chunk"])
-    taken = ranked.withColumn("copies", F.col("each") + F.when(F.col("rank") + F.col("before") <= F.col("extra"), 1).otherwise(0))
-    return taken.join(F.broadcast(goals) if goals.count() < 100_000 else goals, "key").select("doc_id", "key", "size", "source_size", "target", "copies")
+    ranked = salt(rows).withColumn("rank", F.row_number().over(inside)).join(share, ["key", "size", "chunk"])
+    taken = ranked.withColumn("copies", F.col("each") + F.when(F.col("rank") + F.col("before") <= F.col("extra"), 1).otherwise(0)).drop("chunk", "rank", "before", "each", "extra")
+    return taken.join(F.broadcast(goals) if goals.count() < 100_000 else goals, "key")
 
 
-def mixed(docs: DataFrame, weights=WEIGHTS, cap: float = CAP) -> DataFrame:
-    """The mix itself: each document as often as it is taken, with the columns of docs.
+def copies(docs: DataFrame, weights=WEIGHTS, cap: float = CAP) -> DataFrame:
+    """doc_id, key, size, source_size, target, copies - one row per row of docs; the same on every run.
 
-    A doc_id that several rows share takes the copies of the row of most copies, for each of them.
+    Rows without a doc_id take part like any other; rows that share one are dealt their copies one by one.
     """
-    times = copies(docs, weights, cap).where("copies > 0").groupBy("doc_id").agg(F.max("copies").alias("_copies"))
-    return docs.join(times, "doc_id").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int")))).select(*docs.columns)
+    sized = stored(sizes(docs), "sizes")
+    return _dealt(sized, sized, weights, cap).select("doc_id", "key", "size", "source_size", "target", "copies")
+
+
+def mixed(docs: DataFrame, weights=WEIGHTS, cap: float = CAP) -> DataFrame:
+    """The mix itself: each row as often as it is taken, with the columns of docs, whatever their names."""
+    rows = sizes(docs.select("doc_id", "text", "source", F.struct("*").alias("_document")), "_document")
+    taken = _dealt(rows, stored(rows.drop("_document"), "sizes"), weights, cap).where("copies > 0")
+    return taken.select("_document", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))).alias("_copy")).select("_document.*")

@@ -1,13 +1,15 @@
 """Personal data: fixed base patterns, widened by a linear-chain conditional random field.
 
 The base patterns decide email, ip, card and phone spans as the contract states them.  The field labels the words that
-carry a digit, an ``@`` or a bracketed at sign with features of their shape and of their neighbours; it is trained, by
-gradient steps on the exact conditional likelihood, from a small table: words around base spans of a bounded sample of
-documents, the same spans rewritten in other common notations, and numbers that are no personal data.  All other words
-are O by construction, so a text falls into short runs that Viterbi decodes together in numpy batches.
-
-What the field finds is added where it overlaps no base span and passes its kind's own check (Luhn for cards, parts for
-ips, digits for phones).  Base spans always stay.
+carry a digit, an ``@`` or a bracketed at sign with features of their shape and of their neighbours; besides the four
+kinds it knows secrets (keys and tokens).  It is trained, by gradient steps on the exact conditional likelihood, from a
+small labelled table: runs of words around base spans of a bounded sample of documents, the same spans in other common
+notations, made-up card numbers and secrets, and numbers that are nobody's.  A run of the sample with a number that no
+base pattern knows has no label and teaches nothing.  All other words are O by construction, so a text falls into short
+runs that Viterbi decodes together in numpy batches.
+
+What the field labels is added where it overlaps no base span and has the parts that its kind must have (``has_parts``):
+a card number needs its digits but, written in error, not the right check digit.  Base spans always stay.
 """
 
 from __future__ import annotations
@@ -25,11 +27,16 @@ from pyspark.sql import functions as F
 from .common import ids_and_texts, slices
 
 KINDS = ("email", "ip", "card", "phone")
-LABELS = ("O", *(f"{x}-{k}" for k in KINDS for x in "BI"))
+#: What the field finds beyond the contract's kinds; they come after them.
+MORE_KINDS = ("secret",)
+ALL_KINDS = KINDS + MORE_KINDS
+LABELS = ("O", *(f"{x}-{k}" for k in ALL_KINDS for x in "BI"))
 #: Bound of the documents, taken by hash, whose base spans teach the field; and of the spans used.
-TRAIN_DOCS, TRAIN_SPANS, EPOCHS = 2000, 600, 40
+TRAIN_DOCS, TRAIN_SPANS, EPOCHS = 2000, 400, 30
 #: Most training sequences, drawn at random from those of the sample (noise among them), and their most words.
 TRAIN_SEQUENCES, TRAIN_WORDS = 6000, 40
+#: Made-up examples of each sort.
+MADE_UP = 250
 #: Words, with padding, that one batch of decoding holds.
 DECODE_WORDS = 1 << 16
 
@@ -88,7 +95,9 @@ def base_spans(text: str) -> list[Span]:
 
 #: Lengths that a feature tells apart.
 _BINS = (1, 2, 3, 4, 5, 6, 8, 10, 12, 16, 20)
-_CUES = {"mail": "email", "email": "email", "e-mail": "email", "ip": "ip", "address": "ip", "host": "ip", "card": "card", "visa": "card", "phone": "phone", "tel": "phone", "tel.": "phone", "call": "phone", "mobile": "phone", "fax": "phone"}
+_CUES = {"mail": "email", "email": "email", "e-mail": "email", "ip": "ip", "address": "ip", "host": "ip", "card": "card", "visa": "card", "phone": "phone", "tel": "phone", "tel.": "phone", "call": "phone", "mobile": "phone", "fax": "phone", "token": "secret", "key": "secret", "secret": "secret", "password": "secret", "api_key": "secret", "bearer": "secret"}
+#: Signs that stand around a datum without being part of it.
+_AROUND = ".,;:!?\"'`#$%&*|=<>[]{}"
 
 
 def shape(word: str) -> str:
@@ -100,16 +109,29 @@ def shape(word: str) -> str:
     return "".join(out)[:24]
 
 
+def _near(word: str) -> str:
+    return shape(word) if _SEED_WORD.search(word) else _CUES.get(word.lower().strip(":=\"'"), "word") if word else "edge"
+
+
 def features(words: list[str], i: int) -> list[str]:
-    w = words[i].strip(".,;:!?\"'")
-    digits = sum(c.isdigit() for c in w)
-    out = ["bias", f"shape={shape(w)}", f"digits={next((b for b in _BINS if digits <= b), 99)}", f"at={'@' in w}", f"dots={w.count('.')}", f"plus={w[:1] == '+'}", f"bracket={w[:1] in '(['}", f"letters={any(c.isalpha() for c in w)}"]
+    w = words[i].strip(_AROUND)
+    digits, letters = sum(c.isdigit() for c in w), sum(c.isalpha() for c in w)
+    bin_of = lambda n: next((b for b in _BINS if n <= b), 99)
+    kind = "hex" if len(w) >= 16 and _HEX.fullmatch(w) else "code" if len(w) >= 16 and _CODE.fullmatch(w) else "other"
+    out = ["bias", f"digits={bin_of(digits)}", f"letters={bin_of(letters) if letters else 0}", f"kind={kind}", f"at={'@' in w}", f"dots={w.count('.')}", f"plus={w[:1] == '+'}", f"bracket={w[:1] in '(['}"]
+    if kind == "other":  # the shapes of codes are as many as codes
+        out.append(f"shape={shape(w)}")
     for side, j in (("before", i - 1), ("after", i + 1)):
-        near = words[j] if 0 <= j < len(words) else ""
-        out.append(f"{side}={shape(near) if _SEED_WORD.search(near) else _CUES.get(near.lower().strip(':'), 'word') if near else 'edge'}")
+        out.append(f"{side}={_near(words[j] if 0 <= j < len(words) else '')}")
+    if i > 1:
+        out.append(f"before2={_near(words[i - 2])}")
     return out
 
 
+_HEX = re.compile(r"[0-9a-f]+|[0-9A-F]+")
+_CODE = re.compile(r"(?=[A-Za-z0-9_/+=-]*[0-9])(?=[A-Za-z0-9_/+=-]*[A-Za-z])[A-Za-z0-9_/+=-]+")
+
+
 class Field:
     """Weights by feature and label, transitions between labels."""
 
@@ -222,7 +244,7 @@ def _batches(order: list[int], lengths: list[int]) -> Iterator[list[int]]:
 
 
 def runs(text: str, most: int | None = None) -> list[tuple[list[str], list[tuple[int, int]], int, int]]:
-    """Runs of words that may carry personal data: the words with one neighbour each side, offsets, first and last.
+    """Runs of words that may carry personal data: the words with their neighbours, offsets, first and last.
 
     ``most`` cuts longer runs (for training only: a cut may split a span).
     """
@@ -232,7 +254,7 @@ def runs(text: str, most: int | None = None) -> list[tuple[list[str], list[tuple
         spans.append(m.span())
     hot = [i for i, w in enumerate(words) if _SEED_WORD.search(w)]
     for a, b in _stretches(hot, most):
-        low, high = max(0, a - 1), min(len(words), b + 2)
+        low, high = max(0, a - 2), min(len(words), b + 2)
         found.append((words[low:high], spans[a : b + 1], a - low, b - low))
     return found
 
@@ -270,32 +292,56 @@ def _rewritten(kind: str, text: str, k: int) -> list[str]:
     return []
 
 
-def training_table(texts: list[str], most: int = TRAIN_SPANS, seed: int = 11) -> tuple[list, list]:
-    """Sequences of feature lists and their labels."""
+def _made_up(rng: np.random.Generator) -> Iterator[tuple[str, str, str]]:
+    """(words before, kind or "", datum): what no pattern of the sample may hold."""
+    digits = lambda n: "".join(map(str, rng.integers(0, 10, n)))
+    some = lambda letters, n: "".join(letters[i] for i in rng.integers(0, len(letters), n))
+    word = lambda: some("abcdefghijklmnoprstuvw", int(rng.integers(2, 9)))
+    small, code = "0123456789abcdef", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    for _ in range(MADE_UP):
+        n = int(rng.choice([15, 16, 16, 16, 19, 13]))
+        number = digits(n)
+        fours = [number[i : i + 4] for i in range(0, n, 4)]
+        yield word(), "card", (number, " ".join(fours), "-".join(fours), f"{number}{some('!$%*', 2)}")[int(rng.integers(0, 4))]
+        secret = (some(small, 40), some(small, 32), some(small.upper(), 40), f"sk-{some(code, 32)}1a", f"{some(code, 24)}7b")[int(rng.integers(0, 5))]
+        lead = ("token =", "key:", "secret =", "password:", word(), "Bearer")[int(rng.integers(0, 6))]
+        yield lead, "secret", f'"{secret}"' if rng.random() < 0.5 else secret
+    for _ in range(MADE_UP):  # numbers that are nobody's
+        year, day, big = int(rng.integers(1900, 2100)), int(rng.integers(1, 29)), int(rng.integers(10**3, 10**8))
+        for datum in (f"{year}-0{day % 9 + 1}-{day:02d}", f"{day}.{day % 12 + 1}.{year}", f"{big}", f"{big:,}", f"{day}.{day}.", f"{day % 9}.{day % 7}.{day}", f"${big / 100:.2f}", f"{day}%", f"v{day}.{day % 5}", f"{year}", f"{day}:{day + 20}", f"{day}th", f"{day % 9}.0", f"978-{day % 9}-{digits(6)}-{digits(2)}-{day % 7}", f"{word()}{day}", f"#{some(small, 6)}", f"{word()}-{day}"):
+            if rng.random() < 0.25:
+                yield word(), "", datum
+
+
+def training_table(texts: Iterator[str], most: int = TRAIN_SPANS, seed: int = 11) -> tuple[list, list]:
+    """Sequences of feature lists and their labels: at most TRAIN_SEQUENCES, all runs of the texts with equal chance."""
     rng = np.random.default_rng(seed)
-    sequences, labels, spans_used = [], [], 0
+    sequences, labels, spans_used, seen = [], [], 0, 0
+
+    def learn(text: str, gold: list[Span], always: bool = False) -> None:
+        nonlocal seen
+        for words, spans, a, b in runs(text, TRAIN_WORDS):
+            own = _labels(spans, gold)
+            if not always and 0 in own:
+                continue  # a number that no base pattern knows has no label
+            seen += 1
+            at = len(sequences) if len(sequences) < TRAIN_SEQUENCES else int(rng.integers(0, seen))
+            if at < TRAIN_SEQUENCES:
+                sequences[at:at + 1] = [[features(words, i) for i in range(a, b + 1)]]
+                labels[at:at + 1] = [own]
+
+    examples = []
     for text in texts:
         gold = base_spans(text)
-        if spans_used < most or not gold:
-            for words, spans, a, b in runs(text, TRAIN_WORDS)[:40]:
-                sequences.append([features(words, i) for i in range(a, b + 1)])
-                labels.append(_labels(spans, gold))
+        learn(text, gold)
         for k, s, e in gold if spans_used < most else []:
             spans_used += 1
-            before, after = text[max(0, s - 60) : s].split()[-1:], text[e : e + 60].split()[:1]
-            for other in _rewritten(k, text[s:e], spans_used):
-                sample = " ".join([*before, other, *after])
-                start = sample.index(other)
-                for words, spans, a, b in runs(sample):
-                    sequences.append([features(words, i) for i in range(a, b + 1)])
-                    labels.append(_labels(spans, [(k, start, start + len(other))]))
-    for _ in range(len(sequences) // 2 + 50):  # numbers that are nobody's
-        year, day, big = rng.integers(1900, 2100), rng.integers(1, 29), rng.integers(10**3, 10**9)
-        noise = [f"{year}-0{day % 9 + 1}-{day:02d}", f"{day}.{day % 12 + 1}.{year}", f"{big}", f"{day}.{day}.", f"{day % 9}.{day % 7}.{day}", f"${big / 100:.2f}", f"{day}%", f"v{day}.{day % 5}", f"{year}"][int(rng.integers(0, 9))]
-        sample = f"word {noise} word"
-        for words, spans, a, b in runs(sample):
-            sequences.append([features(words, i) for i in range(a, b + 1)])
-            labels.append([0] * len(spans))
+            before, after = " ".join(text[max(0, s - 60) : s].split()[-2:]), " ".join(text[e : e + 60].split()[:1])
+            examples += [(before, k, other, after) for other in _rewritten(k, text[s:e], spans_used)]
+    examples += [(before, k, datum, "and") for before, k, datum in _made_up(rng)]
+    for before, k, datum, after in examples:
+        start = len(before) + 1
+        learn(f"{before} {datum} {after}", [(k, start, start + len(datum))] if k else [], True)
     return sequences, labels
 
 
@@ -305,10 +351,7 @@ def train(docs: DataFrame, most: int = TRAIN_DOCS) -> Field:
     n = rows.count()
     picked = rows.where(F.pmod(F.xxhash64("doc_id", F.lit(5)), F.lit(1_000_000)) < 1_000_000 * min(1.0, most / max(n, 1))).orderBy("doc_id").select("text")
     field = Field()
-    sequences, labels = training_table([r["text"] for r in picked.toLocalIterator()])
-    if sequences:
-        drawn = np.sort(np.random.default_rng(13).permutation(len(sequences))[:TRAIN_SEQUENCES])
-        field.fit([sequences[i] for i in drawn], [labels[i] for i in drawn])
+    field.fit(*training_table(r["text"] for r in picked.toLocalIterator()))
     return field
 
 
@@ -340,33 +383,33 @@ def added_spans(texts: list[str], base: list[list[Span]], field: Field) -> list[
                 t += 1
             begin, end = spans[first][0], spans[t - 1][1]
             begin, end = _trimmed(texts[i], begin, end)
-            if begin < end and _plausible(kind, texts[i][begin:end]) and 1 not in taken[i][begin:end]:
+            if begin < end and has_parts(kind, texts[i][begin:end]) and 1 not in taken[i][begin:end]:
                 out[i].append((kind, begin, end))
                 taken[i][begin:end] = b"\1" * (end - begin)
     return out
 
 
 def _trimmed(text: str, begin: int, end: int) -> tuple[int, int]:
-    while begin < end and text[begin] in ".,;:!?\"'":
+    while begin < end and text[begin] in _AROUND:
         begin += 1
-    while begin < end and text[end - 1] in ".,;:!?\"'":
+    while begin < end and text[end - 1] in _AROUND:
         end -= 1
     return begin, end
 
 
-_SPELLED = re.compile(r"[A-Za-z0-9._%+-]+(?:@|\[at\]|\(at\))[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+", re.I)
-_DOTTED = re.compile(r"[0-9]{1,3}(?:\.[0-9]{1,3}){3}")
+_AT = re.compile(r"[^@]+(?:@|[\[(]at[\])])[^@]+\.[^@.]+", re.I)
 
 
-def _plausible(kind: str, text: str) -> bool:
+def has_parts(kind: str, text: str) -> bool:
+    """The parts that a datum of the kind cannot do without, whatever its notation."""
     if kind == "email":
-        return bool(_SPELLED.fullmatch(text))
+        return bool(_AT.fullmatch(text))
     if kind == "ip":
-        return bool(_DOTTED.fullmatch(text)) and valid(kind, text)
-    if any(c.isalpha() for c in text) or not valid(kind, text):
-        return False
-    # a phone without its plus sign is told by brackets, a leading zero or several groups
-    return kind == "card" or text[0] in "(0" and bool(re.search(r"[ ()/-]", text))
+        return bool(_IP.fullmatch(text)) and valid(kind, text)
+    digits, letters = sum("0" <= c <= "9" for c in text), sum(c.isalpha() for c in text)
+    if kind == "secret":
+        return digits > 0 and letters > 0 and digits + letters >= 16 and not any(c.isspace() for c in text)
+    return not letters and (13 <= digits <= 19 if kind == "card" else 9 <= digits <= 15)
 
 
 def digest(spans: list[Span]) -> str:
@@ -374,7 +417,7 @@ def digest(spans: list[Span]) -> str:
 
 
 def in_order(spans: list[Span]) -> list[Span]:
-    return sorted(spans, key=lambda x: (KINDS.index(x[0]), x[1], x[2]))
+    return sorted(spans, key=lambda x: (ALL_KINDS.index(x[0]), x[1], x[2]))
 
 
 def find(texts: list[str], field: Field) -> tuple[list[list[Span]], list[list[Span]]]:
@@ -384,7 +427,7 @@ def find(texts: list[str], field: Field) -> tuple[list[list[Span]], list[list[Sp
     return base, [in_order([*a, *b]) for a, b in zip(base, more, strict=True)]
 
 
-_OUT = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string"
+_OUT = f"doc_id long, {', '.join(f'n_{k} long' for k in ALL_KINDS)}, n_spans long, n_added long, base_sha256 string, spans string"
 
 
 def _report(shared):
@@ -396,19 +439,25 @@ def _report(shared):
             some = np.flatnonzero(hot)
             base, every = find(texts.take(pa.array(some)).to_pylist(), field)
             n = batch.num_rows
-            counts = np.zeros((n, len(KINDS)), np.int64)
+            counts = np.zeros((n, len(ALL_KINDS)), np.int64)
+            added = np.zeros(n, np.int64)
             hashes, spans = [hashlib.sha256(b"").hexdigest()] * n, [""] * n
             for i, b, e in zip(some.tolist(), base, every, strict=True):
                 for kind, _, _ in e:
-                    counts[i, KINDS.index(kind)] += 1
+                    counts[i, ALL_KINDS.index(kind)] += 1
+                added[i] = len(e) - len(b)
                 hashes[i], spans[i] = hashlib.sha256(digest(b).encode()).hexdigest(), digest(e)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(counts[:, k]) for k in range(len(KINDS))), pa.array(hashes), pa.array(spans)], ["doc_id", *(f"n_{k}" for k in KINDS), "base_sha256", "spans"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(counts[:, k]) for k in range(len(ALL_KINDS))), pa.array(counts.sum(1)), pa.array(added), pa.array(hashes), pa.array(spans)], ["doc_id", *(f"n_{k}" for k in ALL_KINDS), "n_spans", "n_added", "base_sha256", "spans"])
 
     return run
 
 
 def report(docs: DataFrame) -> DataFrame:
-    """One row per document: counts of all spans by kind, digest of the base spans, all spans.  Null texts hold none."""
+    """One row per row of docs: counts of all spans by kind, of all and of those added, digest of the base spans, all spans.
+
+    Null and empty texts hold none; repeated rows are reported as often as they occur, null ids as null; other columns
+    are not read.
+    """
     field = docs.sparkSession.sparkContext.broadcast(train(docs))
     return ids_and_texts(docs).mapInArrow(_report(field), _OUT)
 
@@ -416,7 +465,7 @@ def report(docs: DataFrame) -> DataFrame:
 def redact(text: str, spans: list[Span]) -> str:
     """The text with each span (the longest of those that overlap, then the first) replaced by its kind."""
     chosen: list[Span] = []
-    for span in sorted(spans, key=lambda x: (x[1] - x[2], x[1], KINDS.index(x[0]))):
+    for span in sorted(spans, key=lambda x: (x[1] - x[2], x[1], ALL_KINDS.index(x[0]))):
         if not any(s < span[2] and span[1] < e for _, s, e in chosen):
             chosen.append(span)
     out, end = [], 0
