@@ -24,18 +24,32 @@ class Budget(Exception):
     """More work than allowed."""
 
 
+class Timeout(Budget):
+    """More time than allowed."""
+
+
+def in_time(deadline: float | None) -> None:
+    if deadline is not None and time.monotonic() > deadline:
+        raise Timeout("out of time")
+
+
 def absorbed(dnf: Iterable[Iterable[int]]) -> Formula:
+    """The minimal explanations; each is looked up under its least variable, so that few pairs are compared."""
     kept: list[frozenset[int]] = []
+    under: dict[int, list[frozenset[int]]] = {}
     for e in sorted({frozenset(x) for x in dnf}, key=len):
-        if not any(k <= e for k in kept):
+        if not e:
+            return frozenset([e])
+        if not any(k <= e for v in e for k in under.get(v, ())):
             kept.append(e)
+            under.setdefault(min(e), []).append(e)
     return frozenset(kept)
 
 
 def closed(dnf, pi, budget=None) -> float:
     """Explanations without a common variable are independent."""
     f = absorbed(dnf)
-    if sum(map(len, f)) != len(frozenset().union(*f)) and f:
+    if f and sum(map(len, f)) != len(frozenset().union(*f)):
         raise Budget("explanations share variables")
     return 1 - math.prod(1 - math.prod(pi[v] for v in sorted(e)) for e in sorted(f, key=sorted))
 
@@ -66,9 +80,33 @@ def incl_excl(dnf, pi, budget=1 << 15) -> float:
     return total
 
 
-def dd(dnf, pi, budget=200_000, order="freq") -> float:
-    """Ordered, reduced decision diagram: variables are decided in one global order, equal rests share a node."""
-    f = absorbed(dnf)
+def dd(dnf, pi, budget=200_000, order="freq", deadline=None) -> float:
+    """Ordered, reduced decision diagram: variables are decided in one global order, equal rests share a node.
+
+    Facts that all explanations share are factored out and parts without a common fact split first, as often as that
+    goes; each rest has a diagram of its own.
+    """
+    left = [budget]
+
+    def solve(f: Formula) -> float:
+        if not f:
+            return 0.0
+        if frozenset() in f:
+            return 1.0
+        if len(f) == 1:
+            return math.prod(pi[v] for v in sorted(next(iter(f))))
+        common = frozenset.intersection(*f)
+        if common:
+            return math.prod(pi[v] for v in sorted(common)) * solve(frozenset(e - common for e in f))
+        parts = components(f)
+        if len(parts) > 1:
+            return 1 - math.prod(1 - solve(x) for x in sorted(parts, key=lambda x: min(map(min, x))))
+        return _diagram(f, pi, left, order, deadline)
+
+    return solve(absorbed(dnf))
+
+
+def _diagram(f: Formula, pi, left: list[int], order: str, deadline: float | None) -> float:
     counts = Counter(v for e in f for v in e)
     if order == "freq":
         ranked = sorted(counts, key=lambda v: (-counts[v], v))
@@ -83,8 +121,10 @@ def dd(dnf, pi, budget=200_000, order="freq") -> float:
         if g in value:
             stack.pop()
             continue
-        if len(value) > budget:
-            raise Budget(f"{budget} nodes")
+        left[0] -= 1
+        if left[0] < 0:
+            raise Budget("more nodes than allowed")
+        in_time(deadline)
         v = min(min(e) for e in g)
         low = frozenset(e for e in g if v not in e)
         high = absorbed(e - {v} for e in g)
@@ -118,7 +158,7 @@ def components(f: Formula) -> list[Formula]:
     return [frozenset(p) for p in parts.values()]
 
 
-def dtree(dnf, pi, budget=200_000) -> float:
+def dtree(dnf, pi, budget=200_000, deadline=None) -> float:
     """Independent or, common factors as independent and, else a case split on the most frequent variable."""
     memo: dict[Formula, float] = {}
 
@@ -131,6 +171,7 @@ def dtree(dnf, pi, budget=200_000) -> float:
             return memo[f]
         if len(memo) > budget:
             raise Budget(f"{budget} nodes")
+        in_time(deadline)
         common = frozenset.intersection(*f)
         if common:
             p = math.prod(pi[v] for v in sorted(common)) * solve(absorbed(e - common for e in f))
@@ -164,7 +205,7 @@ def cnf_clauses(f: Formula, encoding: str = "two_sided") -> tuple[list[frozenset
     return clauses, n
 
 
-def cnf(dnf, pi, budget=200_000, encoding="two_sided") -> float:
+def cnf(dnf, pi, budget=200_000, encoding="two_sided", deadline=None) -> float:
     """Weighted counting by search with unit propagation, component split and cache.
 
     ``two_sided`` definitions leave the auxiliaries no choice, so that counts are kept; ``relaxed`` has one side only and
@@ -225,6 +266,7 @@ def cnf(dnf, pi, budget=200_000, encoding="two_sided") -> float:
             return factor * memo[cs]
         if len(memo) > budget:
             raise Budget(f"{budget} nodes")
+        in_time(deadline)
         parts = components(frozenset(frozenset(map(abs, c)) for c in cs))
         if len(parts) > 1:
             total = 1.0
@@ -250,8 +292,11 @@ def cnf(dnf, pi, budget=200_000, encoding="two_sided") -> float:
     return 1 - found if encoding == "negate" else found
 
 
-def mc(dnf, pi, epsilon=0.05, delta=0.05, seed=1, budget=None) -> float:
-    """Coverage sampling: worlds drawn through one explanation, counted where that is the first true one."""
+def mc(dnf, pi, epsilon=0.05, delta=0.05, seed=1, budget=2_000_000, deadline=None) -> float:
+    """Coverage sampling: worlds drawn through one explanation, counted where that is the first true one.
+
+    Within a factor of 1 +- epsilon but for a chance of delta; where that needs more draws than ``budget``: Budget.
+    """
     f = sorted(absorbed(dnf), key=sorted)
     if not f:
         return 0.0
@@ -259,9 +304,12 @@ def mc(dnf, pi, epsilon=0.05, delta=0.05, seed=1, budget=None) -> float:
     names = sorted(frozenset().union(*f))
     weights = [math.prod(pi[v] for v in e) for e in f]
     total = sum(weights)
-    n = min(math.ceil(3 * len(f) * math.log(2 / delta) / epsilon**2), 200_000)
+    n = math.ceil(3 * len(f) * math.log(2 / delta) / epsilon**2)
+    if n > budget:
+        raise Budget(f"{n} draws")
     good = 0
     for _ in range(n):
+        in_time(deadline)
         i = rng.choices(range(len(f)), weights)[0]
         world = {v for v in names if v in f[i] or rng.random() < pi[v]}
         good += not any(f[j] <= world for j in range(i))
@@ -309,7 +357,9 @@ def solve_one(dnf, fids, pis, solver: str, options: dict) -> tuple[float | None,
     lower = max((math.prod(pi[v] for v in e) for e in dnf), default=0.0)
     if len(dnf) > options.get("disjunct_cap", DISJUNCT_CAP):
         return None, lower, "disjunct_cap", time.perf_counter_ns() - began
-    own = {k: v for k, v in options.items() if k != "disjunct_cap"}
+    own = {k: v for k, v in options.items() if k not in ("disjunct_cap", "timeout")}
+    if options.get("timeout") is not None and solver in ("dd", "dtree", "cnf", "mc", "auto"):
+        own["deadline"] = time.monotonic() + options["timeout"]
     try:
         if solver == "bounds":
             low, high = bounds(dnf, pi, **own)
@@ -318,10 +368,12 @@ def solve_one(dnf, fids, pis, solver: str, options: dict) -> tuple[float | None,
             try:
                 p = closed(dnf, pi)
             except Budget:
-                p = dd(dnf, pi, **own) if solver == "dd" or len(dnf) > 40 else dtree(dnf, pi)
+                p = dd(dnf, pi, **own) if solver == "dd" or len(dnf) > 40 else dtree(dnf, pi, deadline=own.get("deadline"))
         else:
             p = SOLVERS[solver](dnf, pi, **own)
         return p, p, "ok", time.perf_counter_ns() - began
+    except Timeout:
+        return None, lower, "timeout", time.perf_counter_ns() - began
     except (Budget, RecursionError):
         return None, lower, "node_cap", time.perf_counter_ns() - began
 

@@ -9,9 +9,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..rules import Program, Query, adorned, normalize
-from ..sources.tables import fact_id, stored
+from ..sources.tables import empty, fact_id, stored
 from .baselines import set_fixpoint
-from .compile import arguments
+from .compile import argument_types, arguments
 from .reason import PlanResult, base_probabilities, lineage, probabilities, reason
 
 
@@ -20,6 +20,17 @@ class Answers:
     table: DataFrame
     result: PlanResult
     phases: dict[str, float] = field(default_factory=dict)
+    formulas: DataFrame | None = None
+
+
+#: Unfolded trees of an answer beyond which its formula is not built.
+DISJUNCT_CAP = 1_000_000
+
+
+def _seed(program: Program, name: str) -> DataFrame:
+    spark = next(iter(program.facts.values())).sparkSession
+    start = spark.range(1).select(F.lit(0).alias("a0"), F.lit(1.0).alias("pi"))
+    return start.withColumn("fid", fact_id(name, [F.col("a0")]))
 
 
 def guarded(program: Program, query: Query) -> Program:
@@ -29,10 +40,7 @@ def guarded(program: Program, query: Query) -> Program:
     """
     program = normalize(program)
     out, demand, seed = adorned(program, query)
-    spark = next(iter(program.facts.values())).sparkSession
-    start = spark.range(1).select(F.lit(0).alias("a0"), F.lit(1.0).alias("pi"))
-    start = start.withColumn("fid", fact_id(seed, [F.col("a0")]))
-    base = {**program.facts, seed: start}
+    base = {**program.facts, seed: _seed(program, seed)}
     needs = set_fixpoint(Program([*demand, *out], base))
     names = {r.head.pred for r in demand}
     guards = {}
@@ -42,24 +50,46 @@ def guarded(program: Program, query: Query) -> Program:
             continue
         args = arguments(rows)
         guards[name] = stored(rows.select(*args).withColumn("pi", F.lit(1.0)).withColumn("fid", fact_id(name, [F.col(a) for a in args])), "demand")
-    kept = [r for r in out if all(not a.pred.startswith("need_") or a.pred in guards for a in r.body)]
-    return Program(kept, {**program.facts, **guards})
+    # rules without demand, and rules over predicates that no rule is left for, make nothing
+    known, kept = {**program.facts, **guards}, list(out)
+    while True:
+        heads = {r.head.pred for r in kept}
+        live = [r for r in kept if all(a.pred in known or a.pred in heads for a in r.body)]
+        if len(live) == len(kept):
+            break
+        kept = live
+    if not any(r.head.pred == query.head.pred for r in kept):
+        return Program([query.rule()], {**program.facts, **_empty_bodies(program, query)})
+    return Program(kept, known)
+
+
+def _empty_bodies(program: Program, query: Query) -> dict[str, DataFrame]:
+    """Empty tables for the derived atoms of a query that nothing can answer."""
+    spark, types = next(iter(program.facts.values())).sparkSession, argument_types(program)
+    return {a.pred: empty(spark, a.pred, types[a.pred]) for a in query.body if a.pred not in program.facts}
+
 
+def answer(program: Program, query: Query, solver: str = "dd", magic: str | None = "guard", collapse: float | None = 10, max_depth: int | None = None, cap: int | None = DISJUNCT_CAP, **options) -> Answers:
+    """Probability of each answer; no answers are an empty table.
 
-def answer(program: Program, query: Query, solver: str = "dd", magic: str | None = "guard", collapse: float | None = 10, max_depth: int | None = None, **options) -> Answers:
-    """Probability of each answer; ``magic`` None runs the rules as they are."""
-    if magic:
+    ``magic``: ``guard`` computes the demand first as certain sets, ``rules`` runs the rewritten rules with their demand
+    rules as one program, None runs the rules as they are.  Answers of more than ``cap`` unfolded trees have no formula,
+    but a status.
+    """
+    if magic == "guard":
         program = guarded(program, query)
-    else:
+    elif magic == "rules":
+        program = normalize(program)
+        out, demand, seed = adorned(program, query)
+        program = Program([*demand, *out], {**program.facts, seed: _seed(program, seed)})
+    elif magic is None:
         program = normalize(program).with_rules([*normalize(program).rules, query.rule()])
+    else:
+        raise ValueError(f"unknown rewriting {magic!r}")
     began = time.perf_counter()
     result = reason(program, collapse=collapse, max_depth=max_depth)
     reasoned = time.perf_counter()
-    if query.head.pred not in result.trees:
-        raise LookupError(f"no answer to {query.head}")
-    certain = base_probabilities(result.program)
-    formulas = lineage(result, query.head.pred)
-    formulas = stored(formulas, "lineage")
+    formulas = stored(lineage(result, query.head.pred, cap=cap), "lineage")
     collected = time.perf_counter()
-    table = stored(probabilities(formulas, certain, solver, **options), "answers")
-    return Answers(table, result, {"reasoning": reasoned - began, "lineage": collected - reasoned, "probability": time.perf_counter() - collected})
+    table = stored(probabilities(formulas, base_probabilities(result.program), solver, **options), "answers")
+    return Answers(table, result, {"reasoning": reasoned - began, "lineage": collected - reasoned, "probability": time.perf_counter() - collected}, formulas)

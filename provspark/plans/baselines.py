@@ -2,8 +2,9 @@
 
 * ``set_fixpoint``: ordinary Datalog, naive or semi-naive;
 * ``formula_fixpoint``: formulas in rounds (derive, disjoin per fact, merge with the old formula, test equivalence), for
-  all instantiations or for those that touch a changed fact only; with ``k`` the approximate variant that keeps the k most probable explanations of a fact;
-* ``circuit``: a provenance circuit with two or-gates per fact and an and-gate per instantiation;
+  all instantiations, for those that touch a changed fact only, or in the rewritten form with auxiliary predicates; with
+  ``k`` the approximate variant that keeps the k most probable explanations of a fact;
+* ``circuit``: a provenance circuit with two or-gates per fact and an and-gate per instantiation, and its evaluation;
 * ``worlds``: the definition itself, by enumeration of all possible worlds of few facts.
 """
 
@@ -17,8 +18,8 @@ from pyspark.sql import functions as F
 
 from ..functions.dnf import dnf_absorb, dnf_and, dnf_or
 from ..rules import Program, Rule, normalize
-from ..sources.tables import fact_id, stored
-from .compile import arguments, derived_positions, head_columns, join_body, union
+from ..sources.tables import fact_id, side_by_side, stored, stored_count
+from .compile import Shape, argument_types, arguments, derived_positions, head_columns, join_body, rounds, shapes, union
 
 
 @dataclass
@@ -27,9 +28,15 @@ class Fixpoint:
 
     tables: dict[str, DataFrame] = field(default_factory=dict)
     log: list[dict] = field(default_factory=list)
+    program: Program | None = None
 
     def of(self, pred: str) -> DataFrame:
-        return self.tables[pred]
+        """Facts of a predicate; no rows where nothing was derived."""
+        if pred in self.tables or self.program is None:
+            return self.tables[pred]
+        spark = next(iter(self.program.facts.values())).sparkSession
+        args = ", ".join(f"a{i} {t}" for i, t in enumerate(argument_types(self.program)[pred]))
+        return spark.createDataFrame([], f"{args}, fid bigint, dnf array<array<bigint>>")
 
 
 def _variants(rule: Rule, derived: set[str], delta: bool, first: bool) -> list[int | None]:
@@ -40,16 +47,21 @@ def _variants(rule: Rule, derived: set[str], delta: bool, first: bool) -> list[i
     return list(spots)
 
 
-def set_fixpoint(program: Program, mode: str = "delta", most_rounds: int = 100, extra: tuple[str, ...] = ()) -> Fixpoint:
-    """Least model without probabilities; ``extra`` columns (a world, say) are join keys of every atom."""
+def set_fixpoint(program: Program, mode: str = "delta", most_rounds: int | None = None, extra: tuple[str, ...] = ()) -> Fixpoint:
+    """Least model without probabilities; ``extra`` columns (a world, say) are join keys of every atom.
+
+    Where more than ``most_rounds`` rounds would be needed: RoundLimit.
+    """
     program = normalize(program)
-    derived, out = program.derived, Fixpoint()
+    derived, out = program.derived, Fixpoint(program=program)
+    plans = [Shape(r, [r.id]) for r in program.rules] if extra else shapes(program.rules)
     known: dict[str, DataFrame] = {}
     last: dict[str, DataFrame] = {}
     older: dict[str, DataFrame] = {}
-    for depth in range(1, most_rounds + 1):
+    for depth in rounds(1, most_rounds):
         fresh: dict[str, list[DataFrame]] = {}
-        for rule in program.rules:
+        for shape in plans:
+            rule = shape.rule
             for spot in _variants(rule, derived, mode == "delta", depth == 1):
                 inputs = []
                 for i, atom in enumerate(rule.body):
@@ -62,15 +74,17 @@ def set_fixpoint(program: Program, mode: str = "delta", most_rounds: int = 100,
                 if any(x is None for x in inputs):
                     continue
                 order = None if spot is None else [spot, *(i for i in range(len(rule.body)) if i != spot)]
-                rows = join_body(rule, [(df, []) for df in inputs], extra, order)
+                rows = join_body(rule, [(df, []) for df in inputs], extra, order) if extra else shape.joined([(df, []) for df in inputs], order)
                 fresh.setdefault(rule.head.pred, []).append(rows.select(*head_columns(rule), *extra))
-        new, total = {}, 0
-        for pred, frames in fresh.items():
+        def made(item, depth=depth):
+            pred, frames = item
             rows = union(frames).distinct()
             if pred in known:
                 rows = rows.join(known[pred], rows.columns, "left_anti")
-            rows = stored(rows, f"set-{depth}")
-            n = rows.count()
+            return (pred, *stored_count(rows, f"set-{depth}"))
+
+        new, total = {}, 0
+        for pred, rows, n in side_by_side(made, list(fresh.items())):
             if n:
                 new[pred], total = rows, total + n
         out.log.append({"depth": depth, "new": total})
@@ -84,28 +98,50 @@ def set_fixpoint(program: Program, mode: str = "delta", most_rounds: int = 100,
     return out
 
 
-def formula_fixpoint(program: Program, mode: str = "naive", k: int | None = None, rounds: int | None = None, check: bool = True, most_rounds: int = 40) -> Fixpoint:
+def formula_fixpoint(program: Program, mode: str = "naive", k: int | None = None, depth_limit: int | None = None, check: bool = True, most_rounds: int | None = None) -> Fixpoint:
     """Facts with absorbed formulas.
 
-    ``mode``: ``naive`` recomputes every instantiation each round, ``delta`` those with a changed fact.  ``check`` False runs ``rounds`` rounds without any
-    equivalence test.  ``k`` keeps the k most probable explanations.
+    ``mode``: ``naive`` recomputes every instantiation each round; ``delta`` those with a changed fact; ``rewritten`` has
+    for each rule an auxiliary predicate of the heads that a changed fact reaches, recomputes those heads alone (a
+    semi-join of the rule with it) and merges by outer join.  ``check`` False runs ``depth_limit`` rounds without any
+    equivalence test.  ``k`` keeps the k most probable explanations.  More than ``most_rounds`` rounds: RoundLimit.
+    The log counts instances, updates, equivalence tests, formulas kept equal to another one of the round (``copies``),
+    joins, and the seconds of deriving and of disjoining, merging and comparing.
     """
-    if mode not in ("naive", "delta"):
+    if mode not in ("naive", "delta", "rewritten"):
         raise ValueError(f"unknown mode {mode!r}")
+    if not check and depth_limit is None:
+        raise ValueError("without equivalence tests a number of rounds is needed")
     program = normalize(program)
-    derived, out = program.derived, Fixpoint()
+    derived, out = program.derived, Fixpoint(program=program)
     weights = union([df.select("fid", "pi") for df in program.facts.values()]).dropDuplicates(["fid"]) if k else None
     base = {p: df.withColumn("dnf", F.array(F.array("fid"))) for p, df in program.facts.items()}
     known: dict[str, DataFrame] = {}
     changed: dict[str, DataFrame] = {}
-    for depth in range(1, min(rounds or most_rounds, most_rounds) + 1):
-        began, fresh = time.perf_counter(), {}
+    for depth in rounds(1, most_rounds):
+        if depth_limit is not None and depth > depth_limit:
+            break
+        began, fresh, joins = time.perf_counter(), {}, 0
         for rule in program.rules:
             spots = derived_positions(rule, derived)
             if not spots:
                 variants = [None] if depth == 1 or mode == "naive" else []
             else:
-                variants = [] if depth == 1 else [None] if mode == "naive" else spots
+                variants = [] if depth == 1 else spots if mode == "delta" else [None]
+            reached = None
+            if mode == "rewritten" and spots and depth > 1:
+                heads = []
+                for spot in spots:
+                    own = changed.get(rule.body[spot].pred)
+                    tables = [known.get(a.pred) if a.pred in derived else base[a.pred] for a in rule.body]
+                    if own is None or any(t is None for t in tables):
+                        continue
+                    tables[spot] = tables[spot].join(own, "fid", "left_semi")
+                    heads.append(join_body(rule, [(t, []) for t in tables], order=[spot, *(i for i in range(len(rule.body)) if i != spot)]).select(*head_columns(rule)))
+                    joins += len(rule.body)
+                if not heads:
+                    continue
+                reached = stored(union(heads).distinct(), f"reached-{depth}")
             for spot in variants:
                 inputs = []
                 for i, atom in enumerate(rule.body):
@@ -123,14 +159,22 @@ def formula_fixpoint(program: Program, mode: str = "naive", k: int | None = None
                 if any(x is None for x in inputs):
                     continue
                 rows = join_body(rule, [(df, ["dnf"]) for df in inputs], order=None if spot is None else [spot, *(i for i in range(len(rule.body)) if i != spot)])
+                joins += len(rule.body) - 1
                 product = F.col("dnf_0")
                 for i in range(1, len(rule.body)):
                     product = dnf_and(product, F.col(f"dnf_{i}"))
-                fresh.setdefault(rule.head.pred, []).append(rows.select(*head_columns(rule), dnf_absorb(product).alias("dnf")))
-        instances, updates, new_known, new_changed, tests = 0, 0, dict(known), {}, 0
+                rows = rows.select(*head_columns(rule), dnf_absorb(product).alias("dnf"))
+                if reached is not None:
+                    rows = rows.join(reached, arguments(rows), "left_semi")
+                    joins += 1
+                fresh.setdefault(rule.head.pred, []).append(rows)
+        instances, updates, new_known, new_changed, tests, copies, deriving = 0, 0, dict(known), {}, 0, 0, 0.0
         for pred, frames in fresh.items():
+            since = time.perf_counter()
             rows = stored(union(frames), f"derive-{depth}")
             instances += rows.count()
+            deriving += time.perf_counter() - since
+            joins += pred in known
             args = arguments(rows)
             grouped = rows.groupBy(*args).agg(dnf_absorb(F.flatten(F.collect_list("dnf"))).alias("fresh"))
             grouped = grouped.withColumn("fid", fact_id(pred, [F.col(a) for a in args]))
@@ -144,14 +188,15 @@ def formula_fixpoint(program: Program, mode: str = "naive", k: int | None = None
             if k:
                 merged = _best(merged, args, weights, k)
             merged = stored(merged.withColumn("moved", ~F.col("dnf").eqNullSafe(F.col("old"))), f"merged-{depth}")
-            n, total = merged.agg(F.count_if("moved"), F.count("*")).first()
+            n, total, same = merged.agg(F.count_if("moved"), F.count("*"), F.count_if(F.col("old").isNotNull() & F.col("fresh").isNotNull() & ~F.col("moved"))).first()
             tests += total if check else 0
+            copies += same
             new_known[pred] = merged.select(*args, "fid", "dnf")
             if n:
                 new_changed[pred] = merged.where("moved").select("fid")
                 updates += n
         known, changed = new_known, new_changed
-        out.log.append({"depth": depth, "instances": instances, "updates": updates, "tests": tests, "seconds": time.perf_counter() - began})
+        out.log.append({"depth": depth, "instances": instances, "updates": updates, "tests": tests, "copies": copies, "joins": joins, "deriving": deriving, "seconds": time.perf_counter() - began})
         if check and not updates:
             break
     out.tables = known
@@ -179,9 +224,34 @@ class Circuit:
     gates: DataFrame
     wires: DataFrame
     log: list[dict]
+    ands: DataFrame
+    facts: dict[str, DataFrame]
+
+    def lineage(self, pred: str) -> DataFrame:
+        """a0.., dnf: the circuit evaluated bottom up, gate by gate, until no formula grows any more.
+
+        Rules are not joined again: an and-gate is the product of the formulas of its body, an or-gate their union.
+        """
+        bodies = self.ands.select("gate", "fid", F.size("body").alias("n"), F.posexplode("body").alias("at", "part"))
+        derived = self.ands.select("fid").distinct()
+        leaves = bodies.select(F.col("part").alias("fid")).distinct().join(derived, "fid", "left_anti")
+        known = stored(leaves.select("fid", F.array(F.array("fid")).alias("dnf")), "gates-known")
+        mark = None
+        while True:
+            fed = bodies.join(known.select(F.col("fid").alias("part"), "dnf"), "part").groupBy("gate", "fid", "n").agg(F.collect_list("dnf").alias("dnfs")).where(F.size("dnfs") == F.col("n"))
+            empty = F.array(F.array().cast("array<bigint>"))
+            product = dnf_absorb(F.aggregate("dnfs", empty, lambda s, x: dnf_and(s, x)))
+            either = fed.select("fid", product.alias("dnf")).groupBy("fid").agg(dnf_absorb(F.flatten(F.collect_list("dnf"))).alias("dnf"))
+            known = stored(either.unionByName(leaves.select("fid", F.array(F.array("fid")).alias("dnf"))), "gates-known")
+            now = known.agg(F.count("*"), F.sum(F.xxhash64("fid", "dnf").cast("decimal(38,0)"))).first()
+            if now == mark:
+                break
+            mark = now
+        own = self.facts[pred]
+        return own.join(known, "fid").select(*arguments(own), "dnf")
 
 
-def circuit(program: Program, most_rounds: int = 60) -> Circuit:
+def circuit(program: Program, most_rounds: int | None = None) -> Circuit:
     """Semi-naive rounds; an instantiation is an and-gate once, a fact has an inner and an outer or-gate.
 
     Outer gates of a round read inner gates of the round before, which keeps the graph free of cycles.
@@ -192,7 +262,7 @@ def circuit(program: Program, most_rounds: int = 60) -> Circuit:
     last: dict[str, DataFrame] = {}
     older: dict[str, DataFrame] = {}
     ands: list[DataFrame] = []
-    for depth in range(1, most_rounds + 1):
+    for depth in rounds(1, most_rounds):
         fresh: dict[str, list[DataFrame]] = {}
         for rule in program.rules:
             for spot in _variants(rule, derived, True, depth == 1):
@@ -243,7 +313,7 @@ def circuit(program: Program, most_rounds: int = 60) -> Circuit:
     used = every.select("gate", F.explode("body").alias("fid")).join(facts.withColumn("is_fact", F.lit(True)), "fid", "left")
     source = F.when(F.col("is_fact"), F.xxhash64("fid", F.lit("outer"))).otherwise(F.col("fid"))
     through = facts.select(F.xxhash64("fid", F.lit("inner")).alias("src"), F.xxhash64("fid", F.lit("outer")).alias("dst"))
-    return Circuit(gates, union([into, used.select(source.alias("src"), F.col("gate").alias("dst")), through]), log)
+    return Circuit(gates, union([into, used.select(source.alias("src"), F.col("gate").alias("dst")), through]), log, every, known)
 
 
 def worlds(program: Program, pred: str, most_facts: int = 16) -> DataFrame:

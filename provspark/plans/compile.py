@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Sequence
+from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -11,6 +12,96 @@ from pyspark.sql import functions as F
 from ..rules import Atom, Rule, RuleTypeError, Var
 
 
+class RoundLimit(RuntimeError):
+    """A fixpoint was not reached in the rounds allowed."""
+
+
+def rounds(first: int, most: int | None):
+    """first, first + 1, ...: where more than ``most`` rounds are asked for, RoundLimit."""
+    depth = first
+    while most is None or depth <= most:
+        yield depth
+        depth += 1
+    raise RoundLimit(f"not at the fixpoint after {most} rounds")
+
+
+@dataclass
+class Shape:
+    """Rules that differ in their constants only, run as one plan: the constants are a small table of parameters."""
+
+    rule: Rule
+    ids: list[str]
+    constants: list[tuple] = field(default_factory=list)
+
+    @property
+    def merged(self) -> bool:
+        return len(self.ids) > 1
+
+    def parameters(self, spark) -> DataFrame:
+        """rule, a0..: as many rows as rules."""
+        return F.broadcast(spark.createDataFrame([(i, *c) for i, c in zip(self.ids, self.constants, strict=True)], ["rule", *(f"a{i}" for i in range(len(self.constants[0])))]))
+
+    def joined(self, inputs: Sequence[tuple[DataFrame, Sequence[str]]], order: Sequence[int] | None = None, payload: bool = False) -> DataFrame:
+        """The body's join; with ``payload`` a merged shape has its rules' ids in ``rule_id``."""
+        if not self.merged:
+            return join_body(self.rule, inputs, order=order)
+        names = tuple(Var(f"_k{i}") for i in range(len(self.constants[0])))
+        wide = Rule(self.rule.id, self.rule.head, (*self.rule.body, Atom("_parameters", names)))
+        at = len(self.rule.body)
+        order = list(order or range(at))
+        spark = inputs[0][0].sparkSession
+        return join_body(wide, [*inputs, (self.parameters(spark), ["rule"] if payload else [])], order=[order[0], at, *order[1:]] if _meets(wide, order[0], at) else [*order, at]).withColumnsRenamed({f"rule_{at}": "rule_id"})
+
+
+def _meets(rule: Rule, i: int, j: int) -> bool:
+    return bool(set(rule.body[i].variables) & set(rule.body[j].variables))
+
+
+def shapes(rules: Sequence[Rule]) -> list[Shape]:
+    """Rules grouped by what is left when constants are taken out; only bodies with a constant are merged."""
+    groups: dict[tuple, list[tuple[Rule, Rule, tuple]]] = {}
+    for rule in rules:
+        constants: list = []
+        names: dict[str, Var] = {}
+
+        def bare(atom: Atom, constants=constants, names=names) -> Atom:
+            args = []
+            for a in atom.args:
+                if isinstance(a, Var):
+                    args.append(names.setdefault(a.name, Var(f"V{len(names)}")))
+                else:
+                    args.append(Var(f"_k{len(constants)}"))
+                    constants.append(a)
+            return Atom(atom.pred, tuple(args))
+
+        body = tuple(bare(a) for a in rule.body)
+        in_body = len(constants)
+        plain = Rule(rule.id, bare(rule.head), body)
+        key = (plain.head, plain.body, tuple(type(c) for c in constants)) if in_body else (rule.id, rule)
+        groups.setdefault(key, []).append((rule, plain, tuple(constants)))
+    out = []
+    for own in groups.values():
+        if len(own) == 1:
+            out.append(Shape(own[0][0], [own[0][0].id]))
+        else:
+            out.append(Shape(own[0][1], [r.id for r, _, _ in own], [c for _, _, c in own]))
+    return out
+
+
+def argument_types(program) -> dict[str, list[str]]:
+    """Column types of every predicate, carried from the facts through the rules (unknown ones are strings)."""
+    types = {p: [df.schema[a].dataType.simpleString() for a in arguments(df)] for p, df in program.facts.items()}
+    for _ in range(len(program.rules) + 1):
+        for rule in program.rules:
+            known = {a.name: t for atom in rule.body for a, t in zip(atom.args, types.get(atom.pred, ()), strict=False) if isinstance(a, Var)}
+            own = [known.get(a.name) if isinstance(a, Var) else {int: "bigint", float: "double"}.get(type(a), "string") for a in rule.head.args]
+            if None not in own:
+                types.setdefault(rule.head.pred, own)
+    for rule in program.rules:
+        types.setdefault(rule.head.pred, ["string"] * len(rule.head.args))
+    return types
+
+
 def arguments(df: DataFrame) -> list[str]:
     return sorted((c for c in df.columns if re.fullmatch(r"a\d+", c)), key=lambda c: int(c[1:]))
 

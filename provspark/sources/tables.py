@@ -4,8 +4,9 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from concurrent.futures import ThreadPoolExecutor
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from ..rules import Atom, Fact, RuleError, RuleTypeError
@@ -35,7 +36,9 @@ def read_triples(spark: SparkSession, path: str) -> DataFrame:
 
 def scratch_root(spark: SparkSession) -> str:
     """The shared folder that the cluster names; a folder of this machine where it is unset, as in tests."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
+    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not found and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
     if not found:
         found = f"file://{tempfile.mkdtemp(prefix='scratch-')}"
         spark.conf.set("spark.checkpoint.dir", found)
@@ -49,6 +52,21 @@ def stored(df: DataFrame, name: str = "step") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def stored_count(df: DataFrame, name: str = "step") -> tuple[DataFrame, int]:
+    """As ``stored``, with the number of rows, counted while they are written."""
+    seen = Observation()
+    table = stored(df.observe(seen, F.count(F.lit(1)).alias("n")), name)
+    return table, int(seen.get["n"])
+
+
+def side_by_side(work, items: list) -> list:
+    """work(item) of all items, as jobs that run at the same time: rounds are many small tables."""
+    if len(items) < 2:
+        return [work(x) for x in items]
+    with ThreadPoolExecutor(min(8, len(items))) as pool:
+        return list(pool.map(work, items))
+
+
 def save(df: DataFrame, path: str, *partition_by: str) -> None:
     df.write.mode("overwrite").partitionBy(*partition_by).parquet(path)
 

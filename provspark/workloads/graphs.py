@@ -11,20 +11,50 @@ from ..sources.tables import facts, hash_pi, load, stored
 from .base import remembered
 
 SMOKERS = "smokes(X) :- stress(X). smokes(Y) :- friend(X,Y), influences(X,Y), smokes(X). friend(X,Y) :- known(X,Y). friend(X,Y) :- known(Y,X). asthma(X) :- smokes(X), risk(X)."
+SMOKERS_BY_SIZE = "smokes(G,X) :- stress(G,X). smokes(G,Y) :- friend(G,X,Y), influences(G,X,Y), smokes(G,X). friend(G,X,Y) :- known(G,X,Y). friend(G,X,Y) :- known(G,Y,X). asthma(G,X) :- smokes(G,X), risk(G,X)."
 SAME_AS = "same(X,Y) :- alike(X,Y). same(X,Y) :- alike(Y,X). good(X) :- quality(X). good(Y) :- quality(X), same(X,Y)."
 SCENES = "isa(V,L) :- looks_like(V,L). isa(V,K) :- isa(V,L), parent(L,K). has(S,K) :- in_scene(V,S), isa(V,K). attr(V,A) :- isa(V,K), attr_of(K,A). pair(S,K,M) :- in_scene(V,S), in_scene(U,S), near(V,U), isa(V,K), isa(U,M). ans(S) :- pair(S,'odd','even')."
 REPLIES = "after(C,T,U) :- reply(C,T,U). after(C,T,V) :- after(C,T,U), reply(C,U,V)."
 
 
-def smokers_graph(spark: SparkSession, sf_dir: str, n: int, most_edges: int | None = None) -> DataFrame:
-    """u, v, weight: the n most active users and the pairs that share most hours; at most 2n undirected edges."""
+def shared_hours(spark: SparkSession, sf_dir: str, n: int) -> tuple[DataFrame, DataFrame]:
+    """(user_id, rank) of the n most active users, and (u, v, weight): hours that pairs of them share."""
     events = load(spark, sf_dir, "events").select("user_id", F.date_trunc("hour", F.col("ts").cast("timestamp")).alias("hour"))
-    active = events.groupBy("user_id").agg(F.count("*").alias("n")).withColumn("rn", F.row_number().over(Window.orderBy(F.desc("n"), "user_id"))).where(F.col("rn") <= n)
+    active = events.groupBy("user_id").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "user_id").limit(n)
+    active = active.withColumn("rank", F.row_number().over(Window.orderBy(F.desc("n"), "user_id"))).select("user_id", "rank")  # n rows
     hours = events.join(F.broadcast(active.select("user_id")), "user_id").distinct()
     other = hours.withColumnRenamed("user_id", "v")
-    pairs = hours.withColumnRenamed("user_id", "u").join(other, "hour").where("u < v").groupBy("u", "v").agg(F.count("*").alias("weight"))
-    top = Window.orderBy(F.desc("weight"), "u", "v")
-    return pairs.withColumn("rn", F.row_number().over(top)).where(F.col("rn") <= (most_edges or 2 * n)).select("u", "v", "weight")
+    return active, hours.withColumnRenamed("user_id", "u").join(other, "hour").where("u < v").groupBy("u", "v").agg(F.count("*").alias("weight"))
+
+
+def smokers_graph(spark: SparkSession, sf_dir: str, n: int, most_edges: int | None = None) -> DataFrame:
+    """u, v, weight: the n most active users and the pairs that share most hours; at most 2n undirected edges."""
+    _, pairs = shared_hours(spark, sf_dir, n)
+    return pairs.orderBy(F.desc("weight"), "u", "v").limit(most_edges or 2 * n).select("u", "v", "weight")
+
+
+def smokers_by_size(spark: SparkSession, sf_dir: str, sizes: range = range(10, 21), asked: int = 5) -> Program:
+    """The smokers rules over graphs of all sizes at once: every predicate has the size as its first argument."""
+
+    def make() -> Program:
+        active, pairs = (stored(df, "smokers") for df in shared_hours(spark, sf_dir, sizes[-1]))
+        size = spark.range(sizes[0], sizes[-1] + 1).withColumnRenamed("id", "g")
+        people = active.join(F.broadcast(size), F.col("rank") <= F.col("g"))
+        left, right = (people.select("g", F.col("user_id").alias(c)) for c in "uv")
+        inside = pairs.join(left, "u").join(right, ["g", "v"])
+        edges = inside.withColumn("rn", F.row_number().over(Window.partitionBy("g").orderBy(F.desc("weight"), "u", "v"))).where(F.col("rn") <= 2 * F.col("g"))
+        edges = stored(edges.select("g", "u", "v"), "smokers")
+        both = edges.unionByName(edges.select("g", F.col("v").alias("u"), F.col("u").alias("v")))
+        given = {
+            "known": facts("known", edges, ["g", "u", "v"], hash_pi(F.col("u") * 31 + F.col("v"), 1), unique=True),
+            "influences": facts("influences", both, ["g", "u", "v"], hash_pi(F.col("u") * 17 + F.col("v"), 2), unique=True),
+            "stress": facts("stress", people, ["g", "user_id"], hash_pi(F.col("user_id"), 3), unique=True),
+            "risk": facts("risk", people, ["g", "user_id"], hash_pi(F.col("user_id"), 4), unique=True),
+            "asked": facts("asked", people.where(F.col("rank") <= asked), ["g", "user_id"], 1.0, unique=True),
+        }
+        return Program(rules(SMOKERS_BY_SIZE), {k: stored(v, k) for k, v in given.items()})
+
+    return remembered(("smokers-by-size-program", sf_dir, sizes, asked), make)
 
 
 def smokers(spark: SparkSession, sf_dir: str, n: int, most_edges: int | None = None) -> Program:

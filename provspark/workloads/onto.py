@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..rules import Program, Rule, rules
 from ..sources.tables import facts, hash_pi, load
-from .base import remembered
+from .base import remembered, trade_edges
 
 CORE = """
 in(S,N) :- supp_in(S,N). in(C,N) :- cust_in(C,N). in(N,R) :- nation_in(N,R). in(X,Z) :- in(X,Y), nation_in(Y,Z).
@@ -75,6 +75,14 @@ def program(spark: SparkSession, sf_dir: str, text: str | None = None, also: tup
     return Program(own, {k: v for k, v in given.items() if k in used})
 
 
+def trade_by_name(spark: SparkSession, sf_dir: str, partners: int = 1) -> DataFrame:
+    """trade(n, m) by the names of nations: the partners of most revenue."""
+    names = load(spark, sf_dir, "nation").select("n_nationkey", "n_name")
+    edges = trade_edges(spark, sf_dir, partners)
+    left, right = names.toDF("a", "n"), names.toDF("b", "m")
+    return facts("trade", edges.join(F.broadcast(left), "a").join(F.broadcast(right), "b"), ["n", "m"], F.col("pi"), unique=True)
+
+
 def star_triples(spark: SparkSession, sf_dir: str) -> DataFrame:
     """s, p, o of the star tables, with two properties that follow from others."""
     nation = load(spark, sf_dir, "nation").join(F.broadcast(load(spark, sf_dir, "region")), F.col("n_regionkey") == F.col("r_regionkey"))

@@ -38,3 +38,24 @@ def test_edges():
     assert s.dd([], {}) == 0 and s.dtree([[]], {}) == 1 and s.cnf([[]], {}) == 1
     with pytest.raises(s.Budget):
         s.closed([[1, 2], [2, 3]], {1: 0.5, 2: 0.5, 3: 0.5})
+
+
+def test_shared_facts_are_factored_out_and_parts_split():
+    import time
+
+    n = 400
+    dnf, pi = [(0, 2 * i + 1, 2 * i + 2) for i in range(n)], {i: 0.01 + (i % 7) / 10 for i in range(2 * n + 1)}
+    began = time.perf_counter()
+    got = s.dd(dnf, pi)
+    assert time.perf_counter() - began < 0.05
+    rest = 1.0
+    for i in range(n):
+        rest *= 1 - pi[2 * i + 1] * pi[2 * i + 2]
+    assert abs(got - pi[0] * (1 - rest)) < 1e-9
+
+
+def test_statuses():
+    chain, pi = [(i, i + 1) for i in range(40)], {i: 0.5 for i in range(41)}
+    solve = lambda solver, **options: s.solve_one(chain, list(pi), list(pi.values()), solver, options)[2]
+    assert solve("dd") == "ok" and solve("dd", budget=3) == "node_cap" and solve("dd", timeout=-1) == "timeout"
+    assert solve("mc", epsilon=1e-4) == "node_cap" and solve("dd", disjunct_cap=5) == "disjunct_cap"
