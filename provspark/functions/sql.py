@@ -30,7 +30,20 @@ class MinimalExplanations:
             yield sorted(e), len(e)
 
 
+_FORMULA = "ARRAY<ARRAY<BIGINT>>"
+#: Formulas in SQL, by built-in functions alone.
+SQL_FUNCTIONS = {
+    "dnf_or": "array_union(a, b)",
+    "dnf_and": "flatten(transform(a, x -> transform(b, y -> array_sort(array_union(x, y)))))",
+    "dnf_absorb": "array_sort(filter(array_distinct(transform(a, e -> array_sort(array_distinct(e)))), e -> NOT exists(a, f -> size(array_distinct(f)) < size(e) AND size(array_except(f, e)) = 0)))",
+}
+
+
 def register(spark: SparkSession) -> None:
+    for name, body in SQL_FUNCTIONS.items():
+        arguments = f"a {_FORMULA}" + ("" if name == "dnf_absorb" else f", b {_FORMULA}")
+        spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({arguments}) RETURNS {_FORMULA} RETURN {body}")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION dnf_equal(a {_FORMULA}, b {_FORMULA}) RETURNS BOOLEAN RETURN dnf_absorb(a) <=> dnf_absorb(b)")
     spark.udf.register("dnf_probability", dnf_probability)
     spark.udf.register("noisy_or_agg", noisy_or_agg)
     spark.udtf.register("minimal_explanations", MinimalExplanations)

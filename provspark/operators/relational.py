@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.dnf import noisy_or
-from ..sources.tables import hash_pi, load, stored
+from ..sources.tables import hash_pi, load, register, stored
 
 
 def semi_guard(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -152,6 +153,90 @@ def generated_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edges.agg(F.count("*").alias("edges"), F.count_if((F.col("pi") > 0) & (F.col("pi") <= 1)).alias("sound"))
 
 
+def unpivot(spark: SparkSession, sf_dir: str) -> DataFrame:
+    wide = load(spark, sf_dir, "lineitem").groupBy("l_returnflag").agg(F.count("*").cast("double").alias("lines"), F.count_distinct("l_orderkey").cast("double").alias("orders"))
+    return wide.unpivot("l_returnflag", ["lines", "orders"], "measure", "value")
+
+
+def richest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return load(spark, sf_dir, "customer").groupBy("c_nationkey").agg(F.max_by("c_custkey", F.struct("c_acctbal", "c_custkey")).alias("first"), F.min_by("c_custkey", F.struct("c_acctbal", "c_custkey")).alias("last"))
+
+
+def histogram(spark: SparkSession, sf_dir: str) -> DataFrame:
+    bucket = F.width_bucket(F.col("c_acctbal").cast("double"), F.lit(-1000.0), F.lit(10000.0), F.lit(11))
+    return load(spark, sf_dir, "customer").groupBy(bucket.cast("long").alias("bucket")).agg(F.count("*").alias("n"))
+
+
+def expected(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Expected number of facts and expected sum over all worlds, by linearity."""
+    pi = hash_pi(F.col("c_custkey"))
+    return load(spark, sf_dir, "customer").groupBy("c_nationkey").agg(F.round(F.sum(pi), 6).alias("number"), F.round(F.sum(pi * F.col("c_acctbal").cast("double")), 3).alias("total"))
+
+
+def sampled_world(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Facts of one world, drawn by a hash of the fact against its probability: no shuffle, the same on every run."""
+    draw = (F.col("c_custkey").cast("long") * 7907 % 1009).cast("double") / F.lit(1009).cast("double")
+    return load(spark, sf_dir, "customer").where(draw < hash_pi(F.col("c_custkey"))).groupBy("c_nationkey").agg(F.count("*").alias("n"))
+
+
+_SUBQUERIES = """SELECT o_orderpriority, count(*) AS n FROM orders WHERE o_totalprice > (SELECT avg(o_totalprice) FROM orders)
+AND EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey AND l_quantity > 40) AND o_custkey IN (SELECT c_custkey FROM customer WHERE c_mktsegment = 'BUILDING') GROUP BY 1"""
+_LATERAL = "SELECT n_nationkey, t.n FROM nation, LATERAL (SELECT count(*) AS n FROM supplier WHERE s_nationkey = n_nationkey) AS t"
+
+
+def subqueries(spark: SparkSession, sf_dir: str) -> DataFrame:
+    register(spark, sf_dir)
+    return spark.sql(_SUBQUERIES)
+
+
+def lateral(spark: SparkSession, sf_dir: str) -> DataFrame:
+    register(spark, sf_dir)
+    return spark.sql(_LATERAL)
+
+
+def sorted_top(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return load(spark, sf_dir, "orders").orderBy(F.desc("o_totalprice"), "o_orderkey").select("o_orderkey", "o_totalprice").limit(10)
+
+
+def salted_join(spark: SparkSession, sf_dir: str, salts: int = 8) -> DataFrame:
+    """A join on a hot key: the large side is dealt over salts, the small side repeated once a salt."""
+    events = load(spark, sf_dir, "events").select("event_type", "event_id").withColumn("salt", F.pmod(F.xxhash64("event_id"), F.lit(salts)))
+    kinds = load(spark, sf_dir, "events").groupBy("event_type").agg(F.count_distinct("user_id").alias("users"))
+    spread = kinds.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))))
+    return events.join(spread.hint("merge"), ["event_type", "salt"]).groupBy("event_type").agg(F.count("*").alias("n"), F.max("users").alias("users"))
+
+
+def grouped_map(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Longest pause of each user, group by group in pandas."""
+
+    def pause(frame: pd.DataFrame) -> pd.DataFrame:
+        gaps = frame["at"].sort_values().diff().max()
+        return pd.DataFrame({"user_id": frame["user_id"].iloc[:1], "pause": [0 if pd.isna(gaps) else int(gaps)]})
+
+    events = load(spark, sf_dir, "events").select("user_id", F.unix_timestamp(F.col("ts").cast("timestamp")).alias("at"))
+    return events.groupBy("user_id").applyInPandas(pause, "user_id long, pause long")
+
+
+def cogrouped(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Customers and suppliers of a nation, counted side by side."""
+
+    def both(key: tuple, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({"nation": [key[0]], "customers": [len(left)], "suppliers": [len(right)]})
+
+    left = load(spark, sf_dir, "customer").select(F.col("c_nationkey").cast("long").alias("nation"))
+    right = load(spark, sf_dir, "supplier").select(F.col("s_nationkey").cast("long").alias("nation"))
+    return left.groupBy("nation").cogroup(right.groupBy("nation")).applyInPandas(both, "nation long, customers long, suppliers long")
+
+
+def dnf_in_sql(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Formulas from SQL: ({k} or {k, k+1}) and ({k+2} or {k}) is {k} after absorption."""
+    from ..functions.sql import register as functions
+
+    functions(spark)
+    load(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("long").alias("k")).createOrReplaceTempView("_keys")
+    return spark.sql("SELECT k, size(f) AS size, dnf_equal(f, array(array(k))) AS equal FROM (SELECT k, dnf_absorb(dnf_and(dnf_or(array(array(k)), array(array(k, k + 1))), array(array(k + 2), array(k)))) AS f FROM _keys)")
+
+
 OPERATORS = {
     "udtf_explanations": (udtf_explanations, "SELECT CAST(n_nationkey AS BIGINT) AS k, s AS size FROM nation, (SELECT CAST(1 AS BIGINT) AS s UNION ALL SELECT 2)"),
     "source_generated_graph": (generated_graph, "SELECT CAST(29 AS BIGINT) AS edges, CAST(29 AS BIGINT) AS sound"),
@@ -178,4 +263,16 @@ OPERATORS = {
     "udaf_noisy_or": (udaf_noisy_or, "SELECT c_nationkey, round(1 - product(1 - CAST((c_custkey * 7919) % 997 + 1 AS DOUBLE) / CAST(1000 AS DOUBLE) / 100), 6) AS p FROM customer GROUP BY 1"),
     "op_recursive_cte": (recursive_cte, "WITH RECURSIVE t AS (SELECT DISTINCT conv_id, turn FROM conversations), c(conv_id, turn, d) AS (SELECT conv_id, turn, 1 FROM t WHERE turn = 0 UNION ALL SELECT t.conv_id, t.turn, c.d + 1 FROM c JOIN t ON t.conv_id = c.conv_id AND t.turn = c.turn + 1) SELECT conv_id, CAST(max(d) AS BIGINT) AS depth FROM c GROUP BY 1"),
     "source_roundtrip": (source_roundtrip, "SELECT n_nationkey, n_name FROM nation"),
+    "op_unpivot": (unpivot, "SELECT l_returnflag, 'lines' AS measure, CAST(count(*) AS DOUBLE) AS value FROM lineitem GROUP BY 1 UNION ALL SELECT l_returnflag, 'orders', CAST(count(DISTINCT l_orderkey) AS DOUBLE) FROM lineitem GROUP BY 1"),
+    "op_max_by": (richest, "SELECT c_nationkey, max(c_custkey) FILTER (a = 1) AS first, max(c_custkey) FILTER (z = 1) AS last FROM (SELECT c_nationkey, c_custkey, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_acctbal DESC, c_custkey DESC) AS a, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_acctbal, c_custkey) AS z FROM customer) GROUP BY 1"),
+    "op_histogram": (histogram, "SELECT CAST(CASE WHEN c_acctbal < -1000 THEN 0 WHEN c_acctbal >= 10000 THEN 12 ELSE floor((c_acctbal + 1000) / 1000) + 1 END AS BIGINT) AS bucket, count(*) AS n FROM customer GROUP BY 1"),
+    "op_expected": (expected, "SELECT c_nationkey, round(sum(p), 6) AS number, round(sum(p * CAST(c_acctbal AS DOUBLE)), 3) AS total FROM (SELECT c_nationkey, c_acctbal, CAST((c_custkey * 7919) % 997 + 1 AS DOUBLE) / CAST(1000 AS DOUBLE) AS p FROM customer) GROUP BY 1"),
+    "op_sampled_world": (sampled_world, "SELECT c_nationkey, count(*) AS n FROM customer WHERE CAST(c_custkey * 7907 % 1009 AS DOUBLE) / CAST(1009 AS DOUBLE) < CAST((c_custkey * 7919) % 997 + 1 AS DOUBLE) / CAST(1000 AS DOUBLE) GROUP BY 1"),
+    "op_subqueries": (subqueries, _SUBQUERIES),
+    "op_lateral": (lateral, _LATERAL),
+    "op_sorted_top": (sorted_top, "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10"),
+    "op_salted_join": (salted_join, "SELECT event_type, count(*) AS n, count(DISTINCT user_id) AS users FROM events GROUP BY 1"),
+    "op_grouped_map": (grouped_map, "SELECT user_id, CAST(coalesce(max(gap), 0) AS BIGINT) AS pause FROM (SELECT user_id, floor(epoch(ts)) - lag(floor(epoch(ts))) OVER (PARTITION BY user_id ORDER BY ts) AS gap FROM events) GROUP BY 1"),
+    "op_cogroup": (cogrouped, "SELECT n AS nation, CAST(sum(c) AS BIGINT) AS customers, CAST(sum(s) AS BIGINT) AS suppliers FROM (SELECT CAST(c_nationkey AS BIGINT) AS n, 1 AS c, 0 AS s FROM customer UNION ALL SELECT s_nationkey, 0, 1 FROM supplier) GROUP BY 1"),
+    "sql_dnf_functions": (dnf_in_sql, "SELECT CAST(n_nationkey AS BIGINT) AS k, 1 AS size, true AS equal FROM nation"),
 }

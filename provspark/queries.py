@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import random
+import resource
 import uuid
 from collections.abc import Callable
 
@@ -763,6 +765,73 @@ def kg_c_stats(spark, sf_dir):
     return onto.text_triples(spark, sf_dir).groupBy("p").agg(F.count("*").alias("n"))
 
 
+def class_rules(triples: DataFrame, least: int = 5) -> tuple[list, list[tuple]]:
+    """A class for each value of a property that so many things have: rules, and (property, value) in order."""
+    values = [(r["p"], r["o"]) for r in triples.groupBy("p", "o").agg(F.count("*").alias("n")).where(F.col("n") >= least).orderBy("p", "o").collect()]  # one row a class
+    quoted = lambda x: x.replace("'", "")
+    text = "".join(f"is(X,'{quoted(p)}={quoted(o)}') :- {p}_b(X,'{quoted(o)}'). " for p, o in values)
+    return rules(text, "class"), values
+
+
+def asked_classes(spark, sf_dir, triples: DataFrame, n: int = 50, seed: int = 5) -> DataFrame:
+    """query, answers, trees, n_expl, ms: n generated queries of one or two atoms over class rules, in one run."""
+    own, values = class_rules(triples)
+    rng = random.Random(seed)
+    names = sorted({p for p, _ in values})
+    text = ""
+    for q in range(n):
+        p, o = rng.choice(values)
+        goal = f"is(X,'{p}={o}')"
+        text += f"gen('q{q}',X,Y) :- {goal}, {rng.choice(names)}_b(X,Y). " if rng.random() < 0.5 else f"gen('q{q}',X,'-') :- {goal}. "
+    program = Program([*own, *rules(text, "asked")], onto.triple_facts(triples, names))
+    result = reason(program, collapse=10)
+    got = probabilities(lineage(result, "gen", cap=1_000_000), base_probabilities(result.program), timeout=60)
+    trees = result.of("gen").groupBy(F.col("a0").alias("q")).agg(F.count("*").alias("trees"))
+    return got.groupBy(F.col("a0").alias("q")).agg(F.count("*").alias("answers"), F.count_if(F.col("status") == "ok").alias("solved"), F.sum("n_expl").alias("n_expl"), (F.sum("nanos") / 1e6).alias("ms")).join(trees, "q")
+
+
+def boxes(df: DataFrame, columns: list[str]) -> DataFrame:
+    """measure, low, q1, mid, q3, high of columns: the box plots of a set of queries."""
+    long = df.select(*(F.col(c).cast("double").alias(c) for c in columns)).unpivot([], columns, "measure", "value")
+    at = F.percentile("value", F.array(*map(F.lit, (0.0, 0.25, 0.5, 0.75, 1.0))))
+    return long.groupBy("measure").agg(at.alias("p")).select("measure", *(F.round(F.col("p")[i], 3).alias(n) for i, n in enumerate(("low", "q1", "mid", "q3", "high"))))
+
+
+for _set in ("d", "c"):
+
+    @query(None, f"kg_{_set}_boxes")
+    def _(spark, sf_dir, which=_set):
+        triples = onto.star_triples(spark, sf_dir) if which == "d" else onto.text_triples(spark, sf_dir)
+        return boxes(asked_classes(spark, sf_dir, stored(triples, "triples")), ["answers", "trees", "n_expl", "ms"])
+
+
+@query()
+def collapse_overhead(spark, sf_dir):
+    """Seconds of reasoning and of folding trees, with their share, on the orders of customers."""
+    result = w.remembered(("first-orders", sf_dir), lambda: reason(w.first_orders(spark, sf_dir), collapse=10))
+    total, folding = sum(x["seconds"] for x in result.log), sum(x["collapse_seconds"] for x in result.log)
+    return spark.createDataFrame([(total, folding, folding / total)], "reasoning double, folding double, share double")
+
+
+@query()
+def solver_times(spark, sf_dir):
+    """Milliseconds a formula, mean and standard deviation, by solver; answers by status."""
+    formulas, given = w.trade_lineage(spark, sf_dir)
+    parts = [probabilities(formulas, given, s).groupBy("status").agg(F.count("*").alias("answers"), (F.avg("nanos") / 1e6).alias("mean"), (F.stddev_samp("nanos") / 1e6).alias("sd")).withColumn("solver", F.lit(s)) for s in ("dd", "dtree", "cnf")]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
+@query()
+def memory_peak(spark, sf_dir):
+    """Peak megabytes of this process and of the virtual machine's heap in use after a run with and without folds."""
+    rows = []
+    for name, collapse in (("without", None), ("with", 10)):
+        reason(w.collapse_example(spark, 10), collapse=collapse)
+        machine = spark.sparkContext._jvm.java.lang.Runtime.getRuntime()
+        rows.append((name, resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024, (machine.totalMemory() - machine.freeMemory()) / 2**20))
+    return spark.createDataFrame(rows, "run string, process_mb double, heap_mb double")
+
+
 @query(golden("queries", (50,)))
 def generated_query_sizes(spark, sf_dir):
     made = generate_queries(Program(rules(onto.CORE)), 50)

@@ -53,7 +53,16 @@ def dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drained(out)
 
 
+def stream_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Purchases within an hour after a view of the same user: two streams, joined by time."""
+    of = lambda kind, at, name: events(spark, sf_dir).where(F.col("event_type") == kind).withWatermark("ts", "2 hours").select(F.col("user_id").alias(f"{name}_user"), F.col("ts").alias(at), F.col("event_id").alias(f"{name}_id"))
+    views, bought = of("view", "seen", "view"), of("purchase", "paid", "purchase")
+    near = F.expr("view_user = purchase_user AND paid >= seen AND paid <= seen + INTERVAL 1 HOUR")
+    return drained(views.join(bought, near).select("view_id", "purchase_id"))
+
+
 STREAMS = {
+    "stream_join": (stream_join, "SELECT v.event_id AS view_id, p.event_id AS purchase_id FROM events v JOIN events p ON v.user_id = p.user_id AND v.event_type = 'view' AND p.event_type = 'purchase' AND p.ts >= v.ts AND p.ts <= v.ts + INTERVAL 1 HOUR"),
     "stream_tumbling": (tumbling, "SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2"),
     "stream_sliding": (sliding, "SELECT start, count(*) AS n FROM (SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) - 3600 * o AS start FROM events, (SELECT 0 AS o UNION ALL SELECT 1)) GROUP BY 1"),
     "stream_session": (session, "SELECT user_id, count(*) FILTER (gap) AS sessions, count(*) AS n FROM (SELECT user_id, coalesce(ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) > INTERVAL 30 MINUTE, true) AS gap FROM events) GROUP BY 1"),
