@@ -597,7 +597,7 @@ def smokers_answers(spark, sf_dir, depth: int) -> DataFrame:
     for pred in ("smokes", "asthma"):
         asked = result.program.facts["asked"].select("a0", "a1")
         formulas = lineage(result, pred, max_depth=depth).join(F.broadcast(asked), ["a0", "a1"], "left_semi")
-        got = probabilities(formulas, given, "dd", budget=20_000, timeout=20)
+        got = probabilities(formulas, given, "dd", budget=20_000, timeout=2)
         parts.append(got.select(F.col("a0").alias("size"), F.col("a1").alias("user"), F.lit(pred).alias("asked"), F.round("prob", 6).alias("prob"), "n_expl", "status", "nanos"))
     return parts[0].unionByName(parts[1])
 
@@ -647,7 +647,7 @@ def page_link_reach(spark, sf_dir):
     return found.select(F.col("node").alias("page_id"), "component")
 
 
-def scene_answers(spark, sf_dir, goal: str, columns: str) -> DataFrame:
+def scene_answers(spark, sf_dir, goal: str, columns: str, collapse: float | None = None) -> DataFrame:
     """Exact answers over all scenes, with the rules that the asked predicate needs, as they are."""
     asked = Query.parse(goal)
 
@@ -660,9 +660,9 @@ def scene_answers(spark, sf_dir, goal: str, columns: str) -> DataFrame:
                 break
             own = grown
             needed |= {a.pred for r in own for a in r.body}
-        return answer(Program(own, {k: v for k, v in program.facts.items() if k in needed}), asked, magic=None, budget=5_000, order="first_seen")
+        return answer(Program(own, {k: v for k, v in program.facts.items() if k in needed}), asked, magic=None, collapse=collapse, budget=5_000, order="first_seen")
 
-    got = w.remembered(("vqa", sf_dir, goal), make)
+    got = w.remembered(("vqa", sf_dir, goal, collapse), make)
     return got.table.select(*(F.col(f"a{i}").alias(c) for i, c in enumerate(columns.split())), "prob", "n_expl", "status", "nanos")
 
 
@@ -681,20 +681,20 @@ def vqa_attributes(spark, sf_dir):
 @query()
 def vqa_answers(spark, sf_dir):
     """Scenes with an odd thing near an even one: the case of many derivations."""
-    return scene_answers(spark, sf_dir, "u(S) :- ans(S).", "scene").select("scene", F.round("prob", 6).alias("prob"), "n_expl", "status")
+    return scene_answers(spark, sf_dir, "u(S) :- ans(S).", "scene", 10).select("scene", F.round("prob", 6).alias("prob"), "n_expl", "status")
 
 
 @query()
 def vqa_slowest(spark, sf_dir):
     """The five answers whose probability took longest, with the highest probability of each query."""
-    got = scene_answers(spark, sf_dir, "u(S) :- ans(S).", "scene")
+    got = scene_answers(spark, sf_dir, "u(S) :- ans(S).", "scene", 10)
     return got.select("scene", F.round("prob", 6).alias("prob"), (F.col("nanos") / 1e6).alias("ms")).orderBy(F.desc("ms"), "scene").limit(5)
 
 
 @query()
 def vqa_answered(spark, sf_dir):
     """Scenes by status of their answer: exact, or over the solver's budget."""
-    return scene_answers(spark, sf_dir, "u(S) :- ans(S).", "scene").groupBy("status").agg(F.count("*").alias("answers"))
+    return scene_answers(spark, sf_dir, "u(S) :- ans(S).", "scene", 10).groupBy("status").agg(F.count("*").alias("answers"))
 
 
 def error_buckets(both: DataFrame) -> DataFrame:
