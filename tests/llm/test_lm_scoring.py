@@ -177,3 +177,18 @@ def test_repeated_rows_null_ids_and_other_columns(spark):
     got = lm.scores(spark.createDataFrame(rows, "doc_id long, text string, word string, score double"), default_path()).collect()
     assert len(got) == 4 and len({r["score"] for r in got if r["doc_id"] == 7}) == 1
     assert sorted(r["n_tokens"] for r in got) == [1, 3, 5, 5]
+
+
+def test_words_of_the_head_are_encoded_once(monkeypatch):
+    """What a word of the head costs a slice is one look-up; ids and places are those of the encoder."""
+    texts = pa.array(["Red tail red, zz42", "", "blue tail2"])
+    head = lm.Head(pa.array(["", "blue", "red", "zz42"]), default_path())
+    plain, library, encoded = lm.Tokens(texts, default_path()), encoder(default_path()), []
+    own = type(library)._encode
+    monkeypatch.setattr(library, "words", {})
+    monkeypatch.setattr(type(library), "_encode", lambda self, word: encoded.append(word) or own(self, word))
+    got = lm.Tokens(texts, default_path(), head)
+    assert sorted(encoded) == ["red,", "tail", "tail2"]
+    for name in ("seq", "after", "text_at", "codes", "owner", "size", "kind"):
+        assert np.array_equal(getattr(got, name), getattr(plain, name))
+    assert got.place[got.codes].tolist() == [2, 4, 4, 3, 0, 0, 1, 4, 0]
