@@ -192,3 +192,37 @@ def test_words_of_the_head_are_encoded_once(monkeypatch):
     for name in ("seq", "after", "text_at", "codes", "owner", "size", "kind"):
         assert np.array_equal(getattr(got, name), getattr(plain, name))
     assert got.place[got.codes].tolist() == [2, 4, 4, 3, 0, 0, 1, 4, 0]
+
+
+def test_parts_of_coded_texts_are_those_texts(monkeypatch):
+    """Distinct words of a run of texts are looked up and encoded once; its parts have the tokens of their own texts."""
+    texts = pa.array(["Red tail red, zz42", "", "blue tail2 zz42 tail", "red", "tail2 end"])
+    head, library = lm.Head(pa.array(["blue", "red", "zz42"]), default_path()), encoder(default_path())
+    monkeypatch.setattr(library, "words", {})
+    encoded, own = [], type(library)._encode
+    monkeypatch.setattr(type(library), "_encode", lambda self, word: encoded.append(word) or own(self, word))
+    parts = list(lm.Coded(texts, head).parts(np.array([18, 0, 20, 3, 9]), 20))
+    got = [(rows, lm.Tokens(part, default_path(), head)) for rows, part in parts]
+    assert sorted(encoded) == ["end", "red,", "tail", "tail2"]
+    assert [(rows.start, rows.stop) for rows, _ in got] == [(0, 2), (2, 3), (3, 5)]
+    for rows, tokens in got:
+        plain = lm.Tokens(texts[rows.start : rows.stop], default_path())
+        for name in ("seq", "after", "text_at", "owner", "size", "kind", "whole", "counts"):
+            assert np.array_equal(getattr(tokens, name), getattr(plain, name))
+        words, same = [*tokens.words.values.to_pylist(), ""], [*plain.words.values.to_pylist(), ""]
+        assert [words[c] for c in tokens.codes] == [same[c] for c in plain.codes]
+        assert [tokens.place[c] for c in tokens.codes] == [{"blue": 0, "red": 1, "zz42": 2}.get(same[c], 3) for c in plain.codes]
+
+
+def test_workers_keep_few_words_and_get_small_batches(docs, monkeypatch):
+    """An executor's memory: words kept by the encoder and the text handed over at once are bounded; the session's own bound comes back."""
+    name, seen, own = "spark.sql.execution.arrow.maxBytesPerBatch", [], lm.stored
+    before = docs.sparkSession.conf.get(name)
+    monkeypatch.setattr(lm, "stored", lambda df, at: seen.append(df.sparkSession.conf.get(name)) or own(df, at))
+    lm.scores(docs, default_path()).collect()
+    assert set(seen) == {str(lm.BATCH_BYTES)} and docs.sparkSession.conf.get(name) == before
+    library, head = encoder(default_path()), lm.Head(pa.array(["a"]), default_path())
+    monkeypatch.setattr(lm, "KEPT_WORDS", 50)
+    for i in range(8):
+        lm.Coded(pa.array([" ".join(f"w{i}x{k}" for k in range(40))]), head)
+        assert len(library.words) <= 3 * 50
